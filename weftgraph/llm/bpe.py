@@ -22,7 +22,7 @@ import regex
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import read, slices
+from .common import arrow_map, read, slices, with_fields
 
 #: The word pattern of the byte-level pre-tokenizer (fixed value).
 WORD = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+"
@@ -297,7 +297,7 @@ def encode(text: str, words: Words) -> list[tuple[str, int, bytes]]:
 def encode_column(df: DataFrame, raw: bytes, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """``keep`` columns, ``ids`` array<int> and ``decoded`` string of every text; raw: content of the vocabulary file."""
     shared = df.sparkSession.sparkContext.broadcast(raw)  # one vocabulary file, some 2 MB whatever the data
-    schema = ", ".join(f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keep) + ", ids array<int>, decoded string"
+    schema = with_fields(df, keep, "ids array<int>, decoded string")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         v = load(shared.value)
@@ -311,7 +311,7 @@ def encode_column(df: DataFrame, raw: bytes, text: str = "text", keep: tuple[str
                 texts.append(decoder.feed(own) + decoder.finish())
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(ids, pa.list_(pa.int32())), pa.array(texts, pa.string())], [*keep, "ids", "decoded"])
 
-    return df.select(*keep, text).mapInArrow(run, schema)
+    return arrow_map(df.select(*keep, text), run, schema)
 
 
 def token_digest(df: DataFrame, raw: bytes) -> DataFrame:
@@ -331,8 +331,7 @@ def token_digest(df: DataFrame, raw: bytes) -> DataFrame:
                 back.append(hashlib.sha256(decoded.encode("utf-8")).hexdigest())
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(counts, pa.int64()), pa.array(ids), pa.array(back)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
+    return arrow_map(df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
     )
 
 

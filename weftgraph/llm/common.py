@@ -4,14 +4,17 @@ from __future__ import annotations
 
 import gc
 import tempfile
+import uuid
 import zlib
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pyarrow as pa
 import pyarrow.compute  # noqa: F401
+import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
+from pyspark.sql import types as T
 
 from ..shipping import ship
 
@@ -45,6 +48,12 @@ def cut(df: DataFrame) -> DataFrame:
     return out
 
 
+def arrow_map(df: DataFrame, run: Callable, schema: str | T.StructType) -> DataFrame:
+    """mapInArrow, with this package sent along."""
+    ship(df.sparkSession)
+    return df.mapInArrow(run, schema)
+
+
 def slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[pa.RecordBatch]:
     """Cut Arrow batches into slices of about SLICE_BYTES of text; one long row is a slice of its own."""
     for batch in batches:
@@ -60,8 +69,21 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[
             start = stop
 
 
-def as_bytes(value: str | None) -> bytes:
-    return b"" if value is None else value.encode("utf-8", "surrogatepass")
+class WordHashes(dict):
+    """word -> 64-bit hash; starts anew when it holds ``limit`` words."""
+
+    def __init__(self, limit: int = 400_000):
+        super().__init__()
+        self.limit = limit
+
+    def __missing__(self, word: bytes) -> int:
+        if len(self) >= self.limit:
+            self.clear()
+        made = self[word] = xxhash.xxh64_intdigest(word)
+        return made
+
+    def of(self, words: list[bytes]) -> np.ndarray:
+        return np.fromiter(map(self.__getitem__, words), np.uint64, len(words))
 
 
 def text_blobs(batch: pa.RecordBatch, column: str = "text") -> list[bytes]:
@@ -69,6 +91,19 @@ def text_blobs(batch: pa.RecordBatch, column: str = "text") -> list[bytes]:
     return [x or b"" for x in batch.column(column).cast(pa.binary()).to_pylist()]
 
 
+def with_fields(df: DataFrame, keep: tuple[str, ...], extra: str) -> T.StructType:
+    """Schema of the ``keep`` columns of ``df`` and then the columns of the DDL string ``extra``."""
+    return T.StructType([df.schema[k] for k in keep] + T.StructType.fromDDL(extra).fields)
+
+
+def stored(df: DataFrame) -> DataFrame:
+    """Write whole documents as a Parquet table in the shared folder and read it again."""
+    ensure_checkpoint_dir(df.sparkSession)
+    path = f"{df.sparkSession.sparkContext.getCheckpointDir()}/table-{uuid.uuid4().hex}"
+    df.write.parquet(path)
+    return df.sparkSession.read.parquet(path)
+
+
 def crc_mod(column: str, n: int) -> Column:
     """crc32 of an integer id written as decimal text, modulo n; null ids count as the empty string."""
     return F.pmod(F.crc32(F.coalesce(F.col(column).cast("string"), F.lit("")).cast("binary")), F.lit(n))

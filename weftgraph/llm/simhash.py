@@ -26,7 +26,7 @@ import xxhash
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import cut, read, slices, text_blobs
+from .common import arrow_map, cut, read, slices, text_blobs, with_fields
 from .graphs import components
 
 SHINGLES_AT_ONCE = 1 << 20
@@ -51,14 +51,14 @@ def fingerprint(data: bytes, words: int = 3, seed: int = 42) -> int:
 
 def fingerprints(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), words: int = 3) -> DataFrame:
     """``keep`` columns and ``fp``, the fingerprint as a signed long."""
-    schema = ", ".join(f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keep) + ", fp long"
+    schema = with_fields(df, keep, "fp long")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text):
             fps = np.array([fingerprint(b, words) for b in text_blobs(batch, text)], np.uint64).view(np.int64)
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(fps)], [*keep, "fp"])
 
-    return df.select(*keep, text).mapInArrow(run, schema)
+    return arrow_map(df.select(*keep, text), run, schema)
 
 
 def _postings(bits: int) -> Column:

@@ -19,7 +19,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import crc32, read, slices, text_blobs
+from .common import arrow_map, crc32, read, slices, text_blobs, with_fields
 
 # Fixed values of the TIFF 6.0 format: tags, field sizes, compression codes.
 WIDTH, LENGTH, BITS, COMPRESSION, PHOTOMETRIC = 256, 257, 258, 259, 262
@@ -284,7 +284,7 @@ def decode_column(df: DataFrame, content: str = "content", keep: tuple[str, ...]
 
     A file that cannot be read gives the pages before the fault, then one row whose ``error`` says why.
     """
-    schema = ", ".join(f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keep) + f", {PAGE_SCHEMA}"
+    schema = with_fields(df, keep, PAGE_SCHEMA)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -304,7 +304,7 @@ def decode_column(df: DataFrame, content: str = "content", keep: tuple[str, ...]
                     [*keep, "page", "width", "height", "samples", "bits", "compression", "predictor", "layout", "pixels", "error"],
                 )
 
-    return df.select(*keep, content).mapInArrow(run, schema)
+    return arrow_map(df.select(*keep, content), run, schema)
 
 
 def payload_of(data: bytes) -> bytes:
@@ -313,7 +313,7 @@ def payload_of(data: bytes) -> bytes:
 
 def encode_column(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
     """The text column as TIFF files: ``keep`` and ``content``."""
-    schema = ", ".join(f"`{k}` {df.schema[k].dataType.simpleString()}" for k in keep) + ", content binary"
+    schema = with_fields(df, keep, "content binary")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text):
@@ -321,7 +321,7 @@ def encode_column(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("d
                 [*(batch.column(k) for k in keep), pa.array([encode(payload_of(b)) for b in text_blobs(batch, text)], pa.binary())], [*keep, "content"]
             )
 
-    return df.select(*keep, text).mapInArrow(run, schema)
+    return arrow_map(df.select(*keep, text), run, schema)
 
 
 def feature_of(found: list[Page]) -> str:
@@ -357,8 +357,7 @@ def media_digest(df: DataFrame) -> DataFrame:
             kinds = [pa.int64(), pa.int64(), pa.string(), pa.int64(), pa.int64(), pa.string(), pa.string(), pa.int32()]
             yield pa.RecordBatch.from_arrays([batch.column("doc_id").cast(pa.int64()), *(pa.array(c, k) for c, k in zip(cols, kinds, strict=True))], OUT)
 
-    return df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")).mapInArrow(
-        run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, pages int"
+    return arrow_map(df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, n_bytes long, payload_bytes long, payload_sha256 string, tail_crc32 long, media_bytes long, media_sha256 string, feature string, pages int"
     )
 
 
