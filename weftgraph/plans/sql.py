@@ -25,10 +25,12 @@ def steps(p: Pattern, edges_sql: str, restrictions=None, induced: bool = False,
         for u in order[:i]:
             for a, b in ((u, v), (v, u)):
                 if (a, b) in p.edges or (not p.directed and (b, a) in p.edges and (a, b) == (u, v)):
-                    k = len(joins)
                     mine, theirs = ("a", "b") if a == u else ("b", "a")
-                    conds.append(f"x{k}.{theirs}")
-                    joins.append(f"JOIN s x{k} ON x{k}.{mine} = p.{p.names[u]}" + (f" AND x{k}.{theirs} = {conds[0]}" if k else ""))
+                    if not joins:
+                        conds.append(f"x.{theirs}")
+                        joins.append(f"JOIN s x ON x.{mine} = p.{p.names[u]}")
+                    else:
+                        where.append(f"EXISTS (SELECT 1 FROM s z WHERE z.{mine} = p.{p.names[u]} AND z.{theirs} = {{v}})")
             if not p.adjacent(u, v):
                 where.append(f"{{v}} <> p.{p.names[u]}")
                 if induced:
@@ -52,4 +54,4 @@ def match_sql(p: Pattern, edges_sql: str) -> str:
     head, last = steps(p, edges_sql)
     pair = (lambda a, b: f"{{'a': {a}, 'b': {b}}}") if p.directed else (lambda a, b: f"{{'a': least({a}, {b}), 'b': greatest({a}, {b})}}")
     pairs = ", ".join(pair(p.names[a], p.names[b]) for a, b in p.edges)
-    return f"{head} SELECT array_to_string(list_transform(list_sort([{pairs}]), lambda e: e.a || '-' || e.b), ' ') AS edge_key FROM {last}"
+    return f"{head} SELECT array_to_string(list_transform(list_sort([{pairs}]), lambda pair_: pair_.a || '-' || pair_.b), ' ') AS edge_key FROM {last}"
