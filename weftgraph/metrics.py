@@ -6,7 +6,8 @@ import threading
 import time
 from collections.abc import Callable
 from dataclasses import dataclass
-from itertools import combinations
+from functools import cache
+from itertools import combinations, permutations, product
 from math import prod
 from statistics import mean
 
@@ -67,11 +68,19 @@ def speedup(base: list[float], ours: list[float]) -> tuple[float, float]:
     return (mean(ratios), max(ratios)) if ratios else (float("nan"), float("nan"))
 
 
-def sub_pattern(p: Pattern, vertices) -> Pattern:
-    """What the pattern has among some of its vertices."""
-    keep = sorted(vertices)
-    at = {v: i for i, v in enumerate(keep)}
-    return Pattern(tuple(p.names[v] for v in keep), tuple((at[a], at[b]) for a, b in p.edges if a in at and b in at), p.directed)
+@cache
+def canonical(n: int, edges: tuple, rules: tuple) -> tuple:
+    """The least renumbering of a prefix, so that prefixes that look alike are counted once per graph."""
+    degree = [(sum(v in e for e in edges), sum(a == v for a, _ in rules), sum(b == v for _, b in rules)) for v in range(n)]
+    kinds = sorted(set(degree))
+    slots = [[i for i, d in enumerate(sorted(degree)) if d == k] for k in kinds]
+    owners = [[v for v in range(n) if degree[v] == k] for k in kinds]
+    best = None
+    for parts in product(*(permutations(s) for s in slots)):
+        new = {v: i for vs, part in zip(owners, parts, strict=True) for v, i in zip(vs, part, strict=True)}
+        made = (n, tuple(sorted(tuple(sorted((new[a], new[b]))) for a, b in edges)), tuple(sorted((new[a], new[b]) for a, b in rules)))
+        best = made if best is None or made < best else best
+    return best
 
 
 class LoopWork:
@@ -82,20 +91,22 @@ class LoopWork:
     """
 
     def __init__(self, g: Graph):
-        self.g, self.rows, self.lists = g, {}, {}
+        self.g, self.rows = g, g.__dict__.setdefault("_prefix_rows", {})
 
     def prefix_rows(self, p: Pattern, vertices: frozenset, rules) -> int:
-        own = frozenset(r for r in rules if set(r) <= vertices)
-        key = (p, vertices, own)
+        keep = sorted(vertices)
+        at = {v: i for i, v in enumerate(keep)}
+        edges = [(at[a], at[b]) for a, b in p.edges if a in at and b in at]
+        own = [(at[a], at[b]) for a, b in rules if a in at and b in at]
+        key = canonical(len(keep), tuple(sorted(edges)), tuple(sorted(own)))
         if key not in self.rows:
-            if len(vertices) == 1:
+            n, edges, own = key
+            if n == 1:
                 self.rows[key] = self.g.stats().n_vertices
             else:
-                q = sub_pattern(p, vertices)
-                at = {v: i for i, v in enumerate(sorted(vertices))}
+                q = Pattern(tuple("ABCDEFGH"[:n]), edges)
                 order = schedules.connected_prefix(schedules.all_orders(q), q)[0]
-                c = Configuration(q, order, frozenset((at[a], at[b]) for a, b in own))
-                self.rows[key] = api.count(self.g, q, c, method="enumerate").first()["n"]
+                self.rows[key] = api.count(self.g, q, Configuration(q, order, frozenset(own)), method="enumerate").first()["n"]
         return self.rows[key]
 
     def of(self, c: Configuration) -> int:

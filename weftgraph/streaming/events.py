@@ -21,9 +21,13 @@ PER_TRIGGER = 2
 
 
 def replay(spark: SparkSession, table: DataFrame, order: str = "ts", files: int = 6, per_trigger: int = PER_TRIGGER) -> DataFrame:
-    """A file stream of the table, cut into files by ``order``; some files a trigger."""
+    """A file stream of the table, cut into files by ``order`` and written one after another, so that the stream,
+    which goes by the files' times, reads them in that order; some files a trigger."""
     path = scratch(spark, "stream")
-    table.repartitionByRange(files, order).write.parquet(path)
+    ranged = table.repartitionByRange(files, order).withColumn("_file", F.spark_partition_id()).persist()
+    for k in range(files):
+        ranged.where(F.col("_file") == k).drop("_file").coalesce(1).write.mode("append").parquet(path)
+    ranged.unpersist()
     return spark.readStream.schema(table.schema).option("maxFilesPerTrigger", per_trigger).parquet(path)
 
 
