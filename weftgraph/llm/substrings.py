@@ -11,7 +11,8 @@ words long, it is shortened by its last word to the enclosing interval before th
 statistics cost one step a word. An interval's smallest text position tells whether the window stands earlier.
 
 Texts whose word sequence is another's are settled without any index: all their windows stand in the first one.
-Anchors of more than ``hot`` places deal their windows one by one, by the hash of the whole window, so no shard
+No task gathers the places of a frequent anchor: those with more than 1/HEAVY of all repeated places, HEAVY at most, are
+broadcast. Anchors of more than ``hot`` places deal their windows one by one, by the hash of the whole window, so no shard
 gathers all contexts of a frequent phrase.
 
 Null and blank texts have no words. Rows that share an id are equally early: they remove nothing of each other at the
@@ -36,6 +37,7 @@ from .common import WordHashes, arrow_map, cut, mix64, read, slices, text_blobs
 GRAM = 4
 PASSAGE_WINDOWS = 64
 SHARD_BYTES = 8 << 20
+HEAVY = 1000
 FIRST = -(1 << 63)
 
 
@@ -267,8 +269,13 @@ def repeated_spans(docs: DataFrame, sketch: DataFrame, width: int, hot: int = 50
     docs: as _early() gives them. sketch: outline(docs) with ``copy``.
     """
     places = sketch.where(~F.col("copy")).select("_id", F.explode("anchors").alias("anchor"))
-    counted = places.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1")
-    found = places.join(counted, "anchor").groupBy("_id").agg(F.collect_set("anchor").alias("repeated"), F.collect_set(F.when(F.col("n") > hot, F.col("anchor"))).alias("hot"))
+    counted = cut(places.groupBy("anchor").agg(F.count(F.lit(1)).alias("n")).where("n > 1"))
+    repeats = counted.agg(F.coalesce(F.sum("n"), F.lit(0))).first()[0]
+    # an anchor with its share of all repeated places: at most HEAVY of them, so they are broadcast and not shuffled to one task
+    heavy = F.col("n") * HEAVY > repeats
+    told = places.join(F.broadcast(counted.where(heavy)), "anchor", "left")
+    both = told.where("n is not null").unionByName(told.where("n is null").drop("n").join(counted.where(~heavy), "anchor").select(told.columns))
+    found = both.groupBy("_id").agg(F.collect_set("anchor").alias("repeated"), F.collect_set(F.when(F.col("n") > hot, F.col("anchor"))).alias("hot"))
     found = cut(found)
     total = found.agg(F.coalesce(F.sum(F.size("repeated")), F.lit(0))).first()[0]
     shards = max(1, -(-total * 200 // SHARD_BYTES))
