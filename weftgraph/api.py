@@ -87,8 +87,8 @@ def iep_count(g: Graph, c: Configuration, hint: str | None = None, wide: bool =
     plan = compiler.loop_plan(c, restrictions=c.outer)
     rows = compiler.emit(g, c, plan[:outer], hint, seeds)
     names = [compiler.array_name(c, loop.candidates) for loop in plan[outer:]]
-    sizes, total = iep.count_expr(names, [p.names[v] for v in c.order[:outer]], form, wide)
-    summed = rows.select(*(x.alias(k) for k, x in sizes.items())).agg(F.coalesce(F.sum(total), F.lit(0)).cast(kind).alias("s"))
+    tuples = iep.count_steps(rows, names, [p.names[v] for v in c.order[:outer]], form, wide)
+    summed = tuples.agg(F.coalesce(F.sum("tuples"), F.lit(0)).cast(kind).alias("s"))
     d = F.lit(c.divisor).cast(kind)
     return summed.select(F.when(F.col("s") % d == 0, (F.col("s") / d).cast(kind) if wide else F.expr(f"s div {c.divisor}")).otherwise(F.raise_error(F.lit("the count is not a multiple of its divisor"))).cast(kind).alias("n"))
 

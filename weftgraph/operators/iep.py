@@ -6,7 +6,7 @@ from functools import reduce
 from itertools import combinations
 from math import factorial, prod
 
-from pyspark.sql import Column
+from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 
@@ -53,25 +53,22 @@ def count_python(sets: list[set], form: str = "partitions") -> int:
     return sum(c * prod(len(set.intersection(*(sets[i] for i in b))) for b in blocks) for c, blocks in terms(len(sets), form))
 
 
-def count_expr(names: list[str], bound: list[str], form: str = "partitions", wide: bool = False) -> tuple[dict[str, Column], Column]:
-    """(columns to add first, count): tuples of different ids from the named array columns, none of them bound.
+def count_steps(df: DataFrame, names: list[str], bound: list[str], form: str = "partitions", wide: bool = False) -> DataFrame:
+    """One row per row of ``df``, ``tuples``: how many tuples of different ids the named array columns hold, none of them bound.
 
-    The added columns are the intersections' sizes without bound ids, one for each different set of arrays.
+    Three projections: the intersections, their sizes without bound ids, the sum of products. Each intersection is
+    taken once for each different set of arrays, since a projection that others use more than once is not inlined.
     """
     kind = "decimal(38,0)" if wide else "long"
-    sizes: dict[str, Column] = {}
-
-    def size(block: tuple[int, ...]) -> Column:
-        own = sorted({names[i] for i in block})
-        key = "size_" + "_".join(own)
-        if key not in sizes:
-            array = reduce(lambda a, b: F.array_intersect(a, b), [F.col(n) for n in own])
-            # one array made, then looked into: as an argument of transform's single element it is evaluated once
-            less = lambda a: F.size(a) - sum((F.array_contains(a, F.col(u)).cast("int") for u in bound), F.lit(0))
-            sizes[key] = (less(array) if len(own) == 1 else F.element_at(F.transform(F.array(array), less), 1)).cast(kind)
-        return F.col(key)
-
+    arrays: dict[str, tuple[str, ...]] = {}
+    for _, blocks in terms(len(names), form):
+        for b in blocks:
+            own = tuple(sorted({names[i] for i in b}))
+            arrays.setdefault("x_" + "_".join(own), own)
+    df = df.select(*bound, *(reduce(lambda a, b: F.array_intersect(a, b), [F.col(n) for n in own]).alias(k) for k, own in arrays.items()))
+    sizes = {k: (F.size(k) - sum((F.array_contains(k, F.col(u)).cast("int") for u in bound), F.lit(0))).cast(kind) for k in arrays}
+    df = df.select(*(x.alias(k) for k, x in sizes.items()))
     total = F.lit(0).cast(kind)
     for c, blocks in terms(len(names), form):
-        total = total + F.lit(c).cast(kind) * reduce(lambda a, b: a * b, [size(b) for b in blocks])
-    return sizes, total
+        total = total + F.lit(c).cast(kind) * reduce(lambda a, b: a * b, [F.col("x_" + "_".join(sorted({names[i] for i in b}))) for b in blocks])
+    return df.select(total.cast(kind).alias("tuples"))
