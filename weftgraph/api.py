@@ -47,7 +47,7 @@ def count(g: Graph, p: Pattern, config: Configuration | None = None, method: str
     """One row: pattern and n.
 
     method: "enumerate" runs all loops, the last one as the size of its candidates where it has no inequality;
-    "iep" leaves the independent last loops to inclusion-exclusion; "auto" takes the latter where it applies.
+    "iep" leaves the independent last loops to inclusion-exclusion; "auto" takes the latter where the model finds it no dearer.
     seed_batches: run that many jobs over hash classes of the first vertex, to bound what is in flight at once.
     """
     if seed_batches > 1:
@@ -66,7 +66,7 @@ def _count(g, p, config, method, induced, distinct, hint, wide, form, seeds) ->
     plain = not induced and not p.vlabels and distinct
     if method in ("auto", "iep") and plain:
         c = config if config is not None and config.iep_k else planner.with_iep(config) if config is not None else planner.choose_iep(p, g.stats())
-        if method == "iep" or c.iep_k >= 1:
+        if method == "iep" or config is not None or c.cost <= planner.choose(p, g.stats()).cost:
             return iep_count(g, c, hint, wide, form, seeds)
     elif method == "iep":
         raise ValueError("inclusion-exclusion counts distinct, unlabelled, non-induced matches only")
