@@ -109,3 +109,16 @@ def explain(g: Graph, p: Pattern, top: int = 20) -> DataFrame:
     """The cheapest configurations: rank, order, restrictions, cost."""
     rows = [(i + 1, *c.names(), c.cost) for i, c in enumerate(planner.rank(p, g.stats())[:top])]
     return g.spark.createDataFrame(rows, "rank int, `order` array<string>, restrictions array<string>, cost double")
+
+
+def validate_on_complete_graph(spark, p: Pattern, restrictions) -> bool:
+    """Count with and without the inequalities on the complete graph of as many vertices: the former must be the latter
+    divided by the number of automorphisms."""
+    from .sources.graphs import from_edges
+
+    ids = spark.range(p.n)
+    g = from_edges(ids.select(F.col("id").alias("src")).crossJoin(ids.select(F.col("id").alias("dst"))).where("src < dst"))
+    order = tuple(range(p.n))
+    kept = count(g, p, Configuration(p, order, frozenset(restrictions)), method="enumerate").first()["n"]
+    every = count(g, p, Configuration(p, order, frozenset()), method="enumerate", distinct=False).first()["n"]
+    return kept * len(symmetry.automorphisms(p)) == every

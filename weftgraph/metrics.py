@@ -220,3 +220,14 @@ def loop_rows(g: Graph, c: Configuration) -> list[tuple[str, int, float]]:
 
 def pattern_pairs(p: Pattern) -> int:
     return len(list(combinations(range(p.n), 2)))
+
+
+def scale(g: Graph, p: Pattern, tasks: list[int]) -> list[tuple[int, float, float]]:
+    """(tasks at once, seconds, speed-up over the first): the replicated executor with its prefixes in so many partitions."""
+    from .operators import executor
+
+    out: list[tuple[int, float, float]] = []
+    for k in tasks:
+        t = timed(g, lambda k=k: executor.replicated_count(g, p, partitions=k))
+        out.append((k, t.seconds, out[0][1] / t.seconds if out else 1.0))
+    return out

@@ -216,6 +216,16 @@ def _sets_sql(p: Pattern) -> str:
     return f"WITH perms AS MATERIALIZED ({table}) {rows}"
 
 
+def _on_complete_graph(spark, sf):
+    rows = [(n, _text(named(n), r), api.validate_on_complete_graph(spark, named(n), r)) for n in ("triangle", "rectangle", "w1") for r in symmetry.restriction_sets(named(n))[:2]]
+    return spark.createDataFrame(rows, "pattern string, restrictions string, valid boolean")
+
+
+register(
+    "validate_on_complete_graph", _on_complete_graph,
+    " UNION ALL ".join(f"SELECT '{n}' AS pattern, restrictions, kept = expected AS valid FROM (SELECT * FROM ({kept_sql}) t WHERE restrictions IN ({', '.join(repr(_text(named(n), r)) for r in symmetry.restriction_sets(named(n))[:2])})) u" for n, kept_sql in ((n, _sets_sql(named(n))) for n in ("triangle", "rectangle", "w1"))),
+)
+
 TYPICAL = cost_model.GraphStats(2000, 13_000, 6_400)
 
 

@@ -158,6 +158,13 @@ def _(spark, sf):
     return _union([_marked(executor.replicated_count(g, p, partitions=k, name="w1"), "d1", f"tasks_{k}") for k in (4, 16, 64)])
 
 
+@query("x7_scaling_seconds")
+def _(spark, sf):
+    """Seconds against the number of tasks that may run at once."""
+    rows = [(n, *r) for n in ("w1", "w2") for r in metrics.scale(graph(spark, sf, "d2"), named(n), [1, 2, 4, 8])]
+    return spark.createDataFrame(rows, "pattern string, tasks int, seconds double, speedup double")
+
+
 @query("x8_preparation_seconds")
 def _(spark, sf):
     rows = []

@@ -11,7 +11,7 @@ from ..functions import udfs
 from ..operators import graph_ops
 from ..plans.patterns import named
 from ..sources import io
-from ..sources.graphs import graph
+from ..sources.graphs import EDGES_SQL, graph
 from . import engine
 from .engine import with_edges
 
@@ -29,6 +29,9 @@ def query(name: str, oracle: str | None = None):
     return add
 
 
+_EDGE_SQL = EDGES_SQL["d1"]
+
+
 def d1(rest: str) -> str:
     return with_edges("d1", rest)
 
@@ -380,7 +383,16 @@ ORACLES["op_house_sql_text"] = engine.ORACLES["count_w1_d1"]
 # Graph operators ------------------------------------------------------------------------------------------------
 
 
-@query("op_kcore3", None)
+def _peeled(k: int, rounds: int) -> str:
+    """SQL of so many rounds of taking away vertices with fewer than k neighbours."""
+    parts = [f"r0 AS MATERIALIZED (SELECT src, dst FROM ({_EDGE_SQL}) t)"]
+    for i in range(rounds):
+        strong = f"SELECT v FROM (SELECT src AS v FROM r{i} UNION ALL SELECT dst FROM r{i}) u GROUP BY v HAVING count(*) >= {k}"
+        parts.append(f"r{i + 1} AS MATERIALIZED (SELECT src, dst FROM r{i} WHERE src IN ({strong}) AND dst IN ({strong}))")
+    return f"WITH {', '.join(parts)} SELECT src, dst FROM r{rounds}"
+
+
+@query("op_kcore3", _peeled(3, 12))
 def _(spark, sf):
     return graph_ops.k_core(graph(spark, sf, "d1"), 3)
 
