@@ -511,13 +511,13 @@ def _(spark, sf):
     return spark.sql("SELECT set_id, hi, lo FROM restriction_sets('A-B, A-C, B-C, A-D, B-E') ORDER BY set_id")
 
 
-@query("op_udtf_schedules", "SELECT 16 AS kept, 60 AS connected, 120 AS every")
+@query("op_udtf_schedules", "SELECT 16::BIGINT AS kept, 60::BIGINT AS connected, 120::BIGINT AS every")
 def _(spark, sf):
     udfs.register(spark)
     return spark.sql("SELECT count_if(phase2) AS kept, count_if(phase1) AS connected, count(*) AS every FROM pattern_schedules('A-B, A-C, B-D, C-D, A-E, B-E')")
 
 
-@query("op_udtf_automorphisms", "SELECT 8 AS n, 2 AS swaps")
+@query("op_udtf_automorphisms", "SELECT 8::BIGINT AS n, 2 AS swaps")
 def _(spark, sf):
     udfs.register(spark)
     return spark.sql("SELECT count(*) AS n, max(size(array_distinct(swaps))) AS swaps FROM automorphisms('A-B, B-C, C-D, A-D')")
