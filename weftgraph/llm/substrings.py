@@ -22,7 +22,9 @@ same start. Null ids come first. Other columns are ignored.
 from __future__ import annotations
 
 import hashlib
+from collections import defaultdict
 from collections.abc import Iterator
+from itertools import count
 
 import numpy as np
 import pandas as pd
@@ -164,6 +166,14 @@ def anchors(words: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
     return least, g[_slide(np.concatenate((pad, least, pad)), span, np.maximum) == g]
 
 
+def among(hashes: np.ndarray, signed: list[int]) -> np.ndarray:
+    """Which hashes are in a list of them."""
+    if not signed:
+        return np.zeros(len(hashes), bool)
+    known = np.sort(np.array(signed, np.int64).view(np.uint64))
+    return known[np.minimum(np.searchsorted(known, hashes), len(known) - 1)] == hashes
+
+
 def _early(df: DataFrame, id_column: str, text: str) -> DataFrame:
     """_id, _row (tells apart rows that share an id) and the text, clash-free."""
     return df.select(F.coalesce(F.col(id_column).cast("long"), F.lit(FIRST)).alias("_id"), F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))).alias("_row"), F.col(text).cast("string").alias("text"))
@@ -203,8 +213,10 @@ def _passages(docs: DataFrame, width: int, shards: int) -> DataFrame:
                 least = anchors(own, width)[0]
                 if not len(least):
                     continue
-                ok = np.isin(least, np.array(wanted[i], np.int64).view(np.uint64))
-                apart = np.isin(least, np.array(hot[i], np.int64).view(np.uint64)) & ok
+                ok = among(least, wanted[i])
+                if not ok.any():
+                    continue
+                apart = among(least, hot[i])
                 starts = np.flatnonzero(ok & np.concatenate(([True], (least[1:] != least[:-1]) | ~ok[:-1] | apart[1:])))
                 stops = np.flatnonzero(ok & np.concatenate(((least[1:] != least[:-1]) | ~ok[1:] | apart[:-1], [True]))) + 1
                 for s, e in zip(starts.tolist(), stops.tolist(), strict=True):
@@ -235,16 +247,17 @@ def shard_repeats(pdf: pd.DataFrame, width: int) -> pd.DataFrame:
     known = np.array([first.setdefault(b, i) for i, b in enumerate(bodies)])
     hits = {int(i): [(starts[i], starts[i] + windows[i] + width - 1)] for i in np.flatnonzero(known != np.arange(len(known))) if (ids[known[i]], starts[known[i]]) < (ids[i], starts[i])}
     unique = np.fromiter(first.values(), np.int64, len(first))
-    numbers: dict[bytes, int] = {}
-    flat: list[int] = [0]
-    begins = np.zeros(len(unique), np.int64)
-    for k, i in enumerate(unique):
-        begins[k] = len(flat)
-        flat += [numbers.setdefault(w, len(numbers) + 1) for w in bodies[i].split()]
-        flat.append(0)
-    index = FMIndex(np.array(flat, np.int64), width)
+    sizes = windows[unique].astype(np.int64) + width - 1
+    begins = np.cumsum(sizes + 1) - sizes  # a separator stands before each passage and after the last
+    numbers: dict[bytes, int] = defaultdict(count(1).__next__)
+    words = b" ".join([bodies[i] for i in unique]).split()
+    flat = np.zeros(int(sizes.sum()) + len(sizes) + 1, np.int64)
+    inside = np.ones(len(flat), bool)
+    inside[begins - 1] = inside[-1] = False
+    flat[inside] = np.fromiter(map(numbers.__getitem__, words), np.int64, len(words))
+    index = FMIndex(flat, width)
     earlier = np.zeros(len(flat), bool)
-    for at, low, high in index.stream(begins, windows[unique] + width - 1):
+    for at, low, high in index.stream(begins, sizes):
         many = high - low > 1
         earlier[at[many]] = index.earliest[low[many]] < at[many]
     places = np.flatnonzero(earlier)
