@@ -54,8 +54,8 @@ def arrow_map(df: DataFrame, run: Callable, schema: str | T.StructType) -> DataF
     return df.mapInArrow(run, schema)
 
 
-def slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[pa.RecordBatch]:
-    """Cut Arrow batches into slices of about SLICE_BYTES of text; one long row is a slice of its own."""
+def slices(batches: Iterator[pa.RecordBatch], column: str = "text", size: int = SLICE_BYTES) -> Iterator[pa.RecordBatch]:
+    """Cut Arrow batches into slices of about ``size`` bytes of text; one long row is a slice of its own."""
     for batch in batches:
         sizes = np.asarray(pa.compute.fill_null(pa.compute.binary_length(batch.column(column)), 0), dtype=np.int64)
         if not len(sizes):
@@ -64,7 +64,7 @@ def slices(batches: Iterator[pa.RecordBatch], column: str = "text") -> Iterator[
         start = 0
         while start < len(sizes):
             base = ends[start - 1] if start else 0
-            stop = max(start + 1, int(np.searchsorted(ends, base + SLICE_BYTES, side="right")))
+            stop = max(start + 1, int(np.searchsorted(ends, base + size, side="right")))
             yield batch.slice(start, stop - start)
             start = stop
 

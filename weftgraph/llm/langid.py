@@ -27,7 +27,9 @@ from pyspark.sql import functions as F
 from .common import arrow_map, crc_mod, read, slices, with_fields
 
 TABLE_BITS, LONGEST = 16, 4
-REMEMBERED = 300_000
+REMEMBERED = 200_000
+#: A slice's word posteriors and messages take some twenty times its text.
+SLICE = 2 << 20
 UNKNOWN = "und"
 
 
@@ -236,16 +238,16 @@ def train(docs: DataFrame, fit_rows: int = 1500, fit_bytes: int = 20_000) -> Mod
     return fit(got["text"].tolist(), got["lang"].tolist())
 
 
-def predict(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns, ``lang_pred`` and ``score``."""
+def predict(df: DataFrame, model: Model, text: str = "text", keep: tuple[str, ...] = ("doc_id",), names: tuple[str, str] = ("lang_pred", "score")) -> DataFrame:
+    """``keep`` columns, then the language and its score under ``names``."""
     shared = df.sparkSession.sparkContext.broadcast(model)  # size set by TABLE_BITS and the number of languages
-    schema = with_fields(df, keep, "lang_pred string, score double")
+    schema = with_fields(df, keep, f"`{names[0]}` string, `{names[1]}` double")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labeller = Labeller(shared.value)
-        for batch in slices(batches, text):
+        for batch in slices(batches, text, SLICE):
             langs, scores = labeller.texts(batch.column(text).to_pylist())
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(langs), pa.array(scores)], [*keep, "lang_pred", "score"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(langs, pa.string()), pa.array(scores, pa.float64())], [*keep, *names])
 
     return arrow_map(df.select(*dict.fromkeys([*keep, text])), run, schema)
 
@@ -256,7 +258,7 @@ def label_words(df: DataFrame, model: Model, text: str = "text", id_column: str
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         labeller = Labeller(shared.value)
-        for batch in slices(batches, text):
+        for batch in slices(batches, text, SLICE):
             texts = batch.column(text).to_pylist()
             posterior, lengths, _ = labeller.words(texts)
             best = posterior.argmax(axis=1)

@@ -156,15 +156,15 @@ def train(docs: DataFrame, labels: DataFrame, fit_rows: int = 20_000) -> Trees:
     return fit(x[order], got["quality"].to_numpy(np.float64)[order])
 
 
-def predict(df: DataFrame, model: Trees, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
-    """``keep`` columns and ``score`` of every text, in one pass."""
+def predict(df: DataFrame, model: Trees, text: str = "text", keep: tuple[str, ...] = ("doc_id",), name: str = "score") -> DataFrame:
+    """``keep`` columns and every text's score under ``name``, in one pass."""
     shared = df.sparkSession.sparkContext.broadcast(model)  # size set by the number and depth of trees
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in slices(batches, text):
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(shared.value.score(statistics(text_blobs(batch, text)).astype(np.float64)))], [*keep, "score"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(shared.value.score(statistics(text_blobs(batch, text)).astype(np.float64)))], [*keep, name])
 
-    return arrow_map(df.select(*dict.fromkeys([*keep, text])), run, with_fields(df, keep, "score double"))
+    return arrow_map(df.select(*dict.fromkeys([*keep, text])), run, with_fields(df, keep, f"`{name}` double"))
 
 
 THRESHOLD = 0.3
