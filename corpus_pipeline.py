@@ -17,24 +17,28 @@ from weftgraph.llm.common import crc_mod, read, stored
 LEAST_LANGUAGE_SCORE = 0.4
 
 
-def _carried(docs: DataFrame) -> DataFrame:
-    """doc_id, text and the whole row as one column, so that no name clashes."""
-    return docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"), F.struct(*docs.columns).alias("_all"))
+def _free(docs: DataFrame, name: str) -> str:
+    """A column name that the rows do not have."""
+    while name in docs.columns:
+        name += "_"
+    return name
 
 
 def language(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep texts in a language that the corpus is labelled with."""
     model = langid.train(docs.select("doc_id", F.col("text").cast("string").alias("text"), "lang").where(crc_mod("doc_id", 3) != 1))
-    told = langid.predict(_carried(docs), model, keep=("_all",))
-    return told.where((F.col("lang_pred") != langid.UNKNOWN) & (F.col("score") >= LEAST_LANGUAGE_SCORE)).select("_all.*")
+    lang, score = _free(docs, "lang_pred"), _free(docs, "score")
+    told = langid.predict(docs, model, keep=tuple(docs.columns), names=(lang, score))
+    return told.where((F.col(lang) != langid.UNKNOWN) & (F.col(score) >= LEAST_LANGUAGE_SCORE)).select(*docs.columns)
 
 
 def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Keep texts that score at least the classifier's threshold."""
     labels = read(spark, sf_dir, "labels").where(crc_mod("doc_id", 5) != 0)
-    base = _carried(docs)
-    model = quality.train(base.where(crc_mod("doc_id", 5) != 0), labels)
-    return quality.predict(base, model, keep=("_all",)).where(F.col("score") >= quality.THRESHOLD).select("_all.*")
+    own = docs.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    model = quality.train(own.where(crc_mod("doc_id", 5) != 0), labels)
+    score = _free(docs, "score")
+    return quality.predict(docs, model, keep=tuple(docs.columns), name=score).where(F.col(score) >= quality.THRESHOLD).select(*docs.columns)
 
 
 def one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
