@@ -10,7 +10,7 @@ from __future__ import annotations
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from weftgraph.llm import langid, packing, quality, simhash, substrings
+from weftgraph.llm import langid, nearcopies, packing, quality, substrings
 from weftgraph.llm.common import crc_mod, read, stored
 
 #: A document goes if no language has at least this mean posterior.
@@ -42,10 +42,10 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 
 
 def one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Of each near-duplicate group keep the document with the smallest id."""
+    """Of each group linked by whole-text Jaccard similarity of 0.8 or more (five-word shingles) keep the document with the smallest id."""
     own = F.coalesce(F.col("doc_id").cast("long"), -F.abs(F.xxhash64(F.coalesce(F.col("text"), F.lit("")))))
     base = docs.select(own.alias("_id"), F.col("text").cast("string").alias("text"), F.struct(*docs.columns).alias("_all"))
-    groups = simhash.near_duplicates(base.select("_id", "text"), "_id")
+    groups = nearcopies.near_copies(base.select("_id", "text"), "_id")
     kept = groups.groupBy("_id", "component_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("_id") == F.col("component_id")).select("_id", "n")
     rest = base.select("_id", "_all").join(kept, "_id")
     repeated = rest.where("n > 1").dropDuplicates(["_id"])
