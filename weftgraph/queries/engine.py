@@ -36,13 +36,13 @@ TRIANGLES = "(SELECT count(*) FROM e x JOIN e y ON x.dst = y.src JOIN e z ON z.s
 # Graphs ---------------------------------------------------------------------------------------------------------
 
 for _d in BUILDERS:
-    register(f"edges_{_d}", lambda spark, sf, d=_d: graph(spark, sf, d).edges.select("src", "dst"), EDGES_SQL[_d])
-for _d in ("d1", "d2", "d3", "d5", "d6", "d7", "d9"):
+    register(f"edges_{_d}", lambda spark, sf, d=_d: graph(spark, sf, d).edges.select("src", "dst"), EDGES_SQL.get(_d))
+for _d in ("d1", "d2", "d3", "d5", "d6", "d7", "d9", "d9_all"):
     register(
         f"graph_stats_{_d}", lambda spark, sf, d=_d: graph(spark, sf, d).stats_frame(),
         with_edges(_d, f"SELECT (SELECT count(*) FROM deg) AS n_vertices, (SELECT count(*) FROM e) AS n_edges, {TRIANGLES} AS n_triangles"),
     )
-for _d in ("d1", "d2", "d3", "d4", "d5", "d6", "d8", "d9", "d11"):
+for _d in ("d1", "d2", "d3", "d4", "d5", "d6", "d8", "d9", "d9_all", "d11"):
     register(f"triangle_count_{_d}", lambda spark, sf, d=_d: triangle_count(graph(spark, sf, d)), with_edges(_d, f"SELECT {TRIANGLES} AS n_triangles"))
 
 
@@ -120,6 +120,7 @@ register("triangles_bipartite_d5", lambda spark, sf: api.count(graph(spark, sf,
 register("stars_forest_d11", lambda spark, sf: api.count(graph(spark, sf, "d11"), named("star3"), name="star3"), sql.count_sql(named("star3"), EDGES_SQL["d11"], "star3"))
 register("empty_graph_d6", lambda spark, sf: api.count(graph(spark, sf, "d6"), named("triangle"), name="triangle"), sql.count_sql(named("triangle"), EDGES_SQL["d6"], "triangle"))
 register("cliques_doc_lines_d9", lambda spark, sf: api.cliques(graph(spark, sf, "d9"), 4, name="k4"), sql.count_sql(clique(4), EDGES_SQL["d9"], "k4"))
+register("cliques_doc_lines_d9_all", lambda spark, sf: api.cliques(graph(spark, sf, "d9_all"), 4, name="k4"))
 register("exists_k5_d1", lambda spark, sf: spark.createDataFrame([(api.exists(graph(spark, sf, "d1"), named("k5")),)], "found boolean"), f"SELECT n > 0 AS found FROM ({ORACLES['count_k5_d1']}) t")
 _CHAIN = Pattern.parse("A>B, B>C")
 register("directed_path_d12", lambda spark, sf: api.count(graph(spark, sf, "d12"), _CHAIN, name="path"), sql.count_sql(_CHAIN, EDGES_SQL["d12"], "path"))

@@ -11,7 +11,7 @@ from ..functions import udfs
 from ..operators import graph_ops
 from ..plans.patterns import named
 from ..sources import io
-from ..sources.graphs import EDGES_SQL, graph
+from ..sources.graphs import EDGES_SQL, TARGET_OFFSET, from_edges, graph, line_stars
 from . import engine
 from .engine import with_edges
 
@@ -309,6 +309,11 @@ def _(spark, sf):
     return table(spark, sf, "documents").join(items, F.contains("text", "start")).groupBy("item_id").agg(F.count(F.lit(1)).alias("docs"))
 
 
+@query("op_contains_bench_all")
+def _(spark, sf):
+    return graph(spark, sf, "d13_all").edges.groupBy((F.col("dst") - TARGET_OFFSET).alias("item_id")).agg(F.count(F.lit(1)).alias("docs"))
+
+
 @query("op_date_trunc_graph", "SELECT date_trunc('hour', ts) AS slot, count(DISTINCT user_id) AS users FROM events GROUP BY 1")
 def _(spark, sf):
     return table(spark, sf, "events").groupBy(F.date_trunc("hour", "ts").alias("slot")).agg(F.countDistinct("user_id").alias("users")).withColumn("slot", F.col("slot").cast("timestamp_ntz"))
@@ -417,6 +422,11 @@ def _(spark, sf):
     return graph_ops.connected_components(graph(spark, sf, "d9")).select("id", F.col("component").alias("comp"))
 
 
+@query("op_connected_components_d9_all")
+def _(spark, sf):
+    return graph_ops.connected_components(from_edges(line_stars(spark, sf))).select("id", F.col("component").alias("comp"))
+
+
 @query("op_connected_components_d12", _recursive("d12"))
 def _(spark, sf):
     return graph_ops.connected_components(graph(spark, sf, "d12")).select("id", F.col("component").alias("comp"))

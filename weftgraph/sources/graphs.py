@@ -120,6 +120,8 @@ def triangle_count(g: Graph) -> DataFrame:
 
 SUPPLIER_OFFSET, TARGET_OFFSET, TURN_STEP = 1_000_000_000, 1_000_000, 1000
 LINE_CHARS, LINE_DOCS, LEAK_CHARS, KNN = 20, 50, 60, 8
+#: Words of a run that a benchmark item and a document share in d13_all; a shorter item is one run.
+LEAK_WORDS = 8
 
 
 def _pairs(df: DataFrame, key: list[str], vertex: str) -> DataFrame:
@@ -170,11 +172,25 @@ def _vec_knn(spark, d):
     return best.select(F.col("id").alias("src"), F.explode("b.id2").alias("dst"))
 
 
-def _doc_line(spark, d):
+def shared_lines(spark: SparkSession, d: str, most: int | None = None) -> DataFrame:
+    """id, line: the trimmed lines that two documents or more hold, ``most`` at most."""
     lines = _table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.explode(F.split("text", "\n")).alias("line")).select("id", F.trim("line").alias("line"))
     lines = lines.where(F.length("line") >= LINE_CHARS).distinct()
-    usual = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).where(f"n between 2 and {LINE_DOCS}").select("line")
-    return _pairs(lines.join(usual, "line"), ["line"], "id")
+    usual = lines.groupBy("line").agg(F.count(F.lit(1)).alias("n")).where("n >= 2" if most is None else f"n between 2 and {most}").select("line")
+    return lines.join(usual, "line")
+
+
+def _doc_line(most):
+    def build(spark, d):
+        return _pairs(shared_lines(spark, d, most), ["line"], "id")
+
+    return build
+
+
+def line_stars(spark: SparkSession, d: str) -> DataFrame:
+    """Edges from the smallest document of each shared line to its others: d9_all's components in rows linear in its lines."""
+    lines = shared_lines(spark, d)
+    return lines.join(lines.groupBy("line").agg(F.min("id").alias("src")), "line").where("src < id").select("src", F.col("id").alias("dst"))
 
 
 def page_links(spark, d):
@@ -199,9 +215,27 @@ def _bench_leak(spark, d):
     return docs.join(items, F.contains("text", "start")).select("src", "dst")
 
 
+def _word_runs(df: DataFrame, vertex: str) -> DataFrame:
+    """vertex, run: each LEAK_WORDS words in a row, lower-cased and with single spaces; a shorter text is one run."""
+    words = F.filter(F.split(F.lower("text"), r"\s+"), lambda w: w != "")
+    runs = F.expr(f"transform(sequence(1, greatest(1, size(words) - {LEAK_WORDS - 1})), i -> array_join(slice(words, i, {LEAK_WORDS}), ' '))")
+    return df.select(vertex, words.alias("words")).where(F.size("words") > 0).select(vertex, F.explode(runs).alias("run")).distinct()
+
+
+def _bench_runs(spark, d):
+    items = _word_runs(_table(spark, d, "benchmark").select((F.col("item_id") + TARGET_OFFSET).alias("dst"), "text"), "dst")
+    whole = items.where(F.size(F.split("run", " ")) >= LEAK_WORDS)
+    docs = _table(spark, d, "documents").select(F.col("doc_id").alias("src"), "text")
+    brief = items.where(F.size(F.split("run", " ")) < LEAK_WORDS)  # an item of few words stands anywhere in a text
+    flat = docs.select("src", F.concat(F.lit(" "), F.trim(F.regexp_replace(F.lower("text"), r"\s+", " ")), F.lit(" ")).alias("flat"))
+    held = flat.join(brief, F.contains("flat", F.concat(F.lit(" "), "run", F.lit(" ")))).select("src", "dst")
+    return _word_runs(docs, "src").join(whole, "run").select("src", "dst").unionByName(held)
+
+
 BUILDERS = {
     "d1": _co_return, "d2": _cust_peer, "d3": _co_purchase, "d4": _supp_pair, "d5": _part_supp, "d6": _co_active("minute"), "d7": _co_active("hour"),
-    "d8": _vec_knn, "d9": _doc_line, "d10": page_links, "d11": _nation_region, "d12": _turn_chain, "d13": _bench_leak,
+    "d8": _vec_knn, "d9": _doc_line(LINE_DOCS), "d10": page_links, "d11": _nation_region, "d12": _turn_chain, "d13": _bench_leak,
+    "d9_all": _doc_line(None), "d13_all": _bench_runs,
 }
 DIRECTED = {"d10", "d12"}
 
@@ -209,7 +243,7 @@ DIRECTED = {"d10", "d12"}
 def _labels(spark: SparkSession, d: str, name: str) -> DataFrame | None:
     if name == "d8":
         return _table(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.col("label").cast("string").alias("label"))
-    if name == "d9":
+    if name in ("d9", "d9_all"):
         return _table(spark, d, "documents").select(F.col("doc_id").alias("id"), F.col("lang").alias("label"))
     if name in ("d1", "d3"):
         return _table(spark, d, "part").select(F.col("p_partkey").alias("id"), F.col("p_brand").alias("label"))
@@ -249,6 +283,8 @@ SELECT DISTINCT least(id, id2) AS src, greatest(id, id2) AS dst FROM k""",
     "d9": f"""WITH l AS (SELECT DISTINCT doc_id AS v, trim(u.line, ' ') AS line FROM documents, unnest(string_split(text, chr(10))) AS u(line)), k AS (
   SELECT line FROM l WHERE length(line) >= {LINE_CHARS} GROUP BY line HAVING count(*) BETWEEN 2 AND {LINE_DOCS}
 ), r AS (SELECT v, line FROM l JOIN k USING (line)) SELECT DISTINCT a.v AS src, b.v AS dst FROM r a JOIN r b USING (line) WHERE a.v < b.v""",
+    "d9_all": f"""WITH l AS (SELECT DISTINCT doc_id AS v, trim(u.line, ' ') AS line FROM documents, unnest(string_split(text, chr(10))) AS u(line))
+SELECT DISTINCT a.v AS src, b.v AS dst FROM l a JOIN l b USING (line) WHERE a.v < b.v AND length(line) >= {LINE_CHARS}""",
     "d10": f"""WITH h AS (SELECT DISTINCT page_id, u.target FROM pages, unnest(regexp_extract_all(html, 'href="([^"]*)"', 1)) AS u(target)), k AS (
   SELECT target, row_number() OVER (ORDER BY target) - 1 + {TARGET_OFFSET} AS id FROM (SELECT DISTINCT target FROM h)
 ) SELECT DISTINCT page_id AS src, id AS dst FROM h JOIN k USING (target)""",
