@@ -18,3 +18,12 @@ def test_benchmark_passages_anywhere(spark, tmp_path):
     spark.createDataFrame(docs, "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
     spark.createDataFrame([(7, item), (8, "short item")], "item_id long, text string").write.parquet(str(tmp_path / "benchmark.parquet"))
     assert {tuple(r) for r in QUERIES["op_contains_bench_all"](spark, str(tmp_path)).collect()} == {(7, 2), (8, 1)}
+
+
+def test_cosines_within_every_label(spark):
+    v = spark.read.parquet("/root/testdata/sf0.001/embeddings.parquet")
+    pairs = sum(n * (n - 1) // 2 for _, n in v.groupBy("label").count().collect())
+    got = QUERIES["op_cosine_pairs_all"](spark, "/root/testdata/sf0.001")
+    some = QUERIES["op_cosine_pairs"](spark, "/root/testdata/sf0.001")
+    print("cosine pairs", some.count(), got.count())
+    assert got.count() == pairs > some.count() and some.exceptAll(got).isEmpty()

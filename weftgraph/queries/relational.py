@@ -329,14 +329,24 @@ def _(spark, sf):
     return both(spark, sf).groupBy(F.least("a", "b").alias("lo"), F.greatest("a", "b").alias("hi")).agg(F.count(F.lit(1)).alias("n"), F.max(F.pmod(F.col("a") * 31 + F.col("b"), F.lit(7))).alias("slot"))
 
 
-@query("op_cosine_pairs", "SELECT a.vec_id AS u, b.vec_id AS v, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS c FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.label = 3")
-def _(spark, sf):
+def cosine_pairs(vectors: DataFrame) -> DataFrame:
+    """u, v, c: the rounded cosine of each pair of vectors with the same label."""
     dot = lambda p, q: F.aggregate(F.zip_with(p, q, lambda x, y: x * y), F.lit(0.0), lambda s, t: s + t)
-    v = table(spark, sf, "embeddings").where("label = 3").select("label", F.col("vec_id").alias("u"), F.col("embedding").cast("array<double>").alias("x"))
+    v = vectors.select("label", F.col("vec_id").alias("u"), F.col("embedding").cast("array<double>").alias("x"))
     w = v.select("label", F.col("u").alias("v"), F.col("x").alias("y"))
     return v.join(w, "label").where("u < v").select("u", "v", F.round(dot("x", "y") / F.sqrt(dot("x", "x") * dot("y", "y")), 6).alias("c"))
 
 
+@query("op_cosine_pairs", "SELECT a.vec_id AS u, b.vec_id AS v, round(list_cosine_similarity(a.embedding::DOUBLE[], b.embedding::DOUBLE[]), 6) AS c FROM embeddings a JOIN embeddings b ON a.label = b.label AND a.vec_id < b.vec_id WHERE a.label = 3")
+def _(spark, sf):
+    return cosine_pairs(table(spark, sf, "embeddings").where("label = 3"))
+
+
+@query("op_cosine_pairs_all")
+def _(spark, sf):
+    return cosine_pairs(table(spark, sf, "embeddings"))
+
+
 # Subqueries -----------------------------------------------------------------------------------------------------
 
 
