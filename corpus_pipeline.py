@@ -44,7 +44,7 @@ def good_quality(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame
 def one_of_near_copies(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Of each group linked by whole-text Jaccard similarity of 0.8 or more (five-word shingles) keep the document with the smallest id."""
     own = F.coalesce(F.col("doc_id").cast("long"), -F.abs(F.xxhash64(F.coalesce(F.col("text"), F.lit("")))))
-    base = docs.select(own.alias("_id"), F.col("text").cast("string").alias("text"), F.struct(*docs.columns).alias("_all"))
+    base = docs.select(F.struct(own.alias("id"), F.xxhash64(F.col("text").cast("string")).alias("at")).alias("_id"), F.col("text").cast("string").alias("text"), F.struct(*docs.columns).alias("_all"))
     groups = nearcopies.near_copies(base.select("_id", "text"), "_id")
     kept = groups.groupBy("_id", "component_id").agg(F.count(F.lit(1)).alias("n")).where(F.col("_id") == F.col("component_id")).select("_id", "n")
     rest = base.select("_id", "_all").join(kept, "_id")

@@ -49,3 +49,9 @@ def test_chains_long_lists_and_blanks(spark, limit):
     rows += [(200, ""), (201, "  "), (202, "One two"), (203, "one TWO"), (204, "two one"), (205, "one")]
     got = nearcopies.near_copies(spark.createDataFrame(rows, "doc_id long, text string"), list_limit=limit)
     assert {r.doc_id: r.component_id for r in got.collect()} == brute_components(rows)
+
+
+def test_one_id_over_different_texts(spark):
+    texts = [" ".join(f"w{i}x{j}" for j in range(30)) for i in range(4)]
+    docs = spark.createDataFrame([(1, texts[0]), (1, texts[1]), (1, texts[1]), (2, texts[2]), (None, texts[3])], "doc_id long, text string")
+    assert sorted(r.text for r in pipeline.one_of_near_copies(spark, docs, SMALL).collect()) == texts
