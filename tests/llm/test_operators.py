@@ -202,6 +202,59 @@ def vocabulary():
         return f.read()
 
 
+def numbers(parts):
+    return [int(i) for ids, n, _ in parts if n for i in ids.split(",")]
+
+
+@pytest.mark.parametrize("size", [1, 7, 100, 1500])
+def test_bpe_chunks_of_any_size(vocabulary, monkeypatch, size):
+    """Whole given texts and mixed ones, cut anywhere, even within a character."""
+    import public_tokenizers
+    from tokenizers import Tokenizer
+
+    library, v = Tokenizer.from_file(public_tokenizers.path("byte_bpe_50k.json")), bpe.load(vocabulary)
+    monkeypatch.setattr(bpe, "CHUNK", size)
+    words, rnd = bpe.Words(v), random.Random(size)
+    texts = ["".join(rnd.choices(["ab ", "漢字", "🙂", "\n\n", " ", "<|endoftext|>", "y" * 600, "'ll", "é\u0301", "-" * 1300, " " * 700], k=30)) for _ in range(20)]
+    texts += pd.read_parquet(f"{SMALL}/documents.parquet")["text"].dropna().tolist()[: 100 if size > 7 else 10]
+    for text in texts:
+        data, trip, ids = text.encode(), bpe.RoundTrip(v), []
+        for parts in bpe.streamed(memoryview(data), words):
+            trip.feed(parts)
+            ids += numbers(parts)
+        true = library.encode(text, add_special_tokens=False).ids
+        assert ids == true
+        assert trip.finish() == (len(true), hashlib.sha256(",".join(map(str, true)).encode()).hexdigest(), hashlib.sha256(data).hexdigest())
+
+
+def test_bpe_all_of_a_table(spark, vocabulary):
+    from tokenizers import Tokenizer
+
+    library, medium = Tokenizer.from_str(vocabulary.decode()), "/root/testdata/sf0.01"
+    true = {}
+    for d, t in pd.read_parquet(f"{medium}/documents.parquet")[["doc_id", "text"]].itertuples(index=False):
+        ids = library.encode(t or "", add_special_tokens=False).ids
+        true[d] = (len(ids), hashlib.sha256(",".join(map(str, ids)).encode()).hexdigest(), hashlib.sha256(library.decode(ids, skip_special_tokens=False).encode()).hexdigest())
+    got = {r["doc_id"]: (r["n_tokens"], r["ids_sha256"], r["decoded_sha256"]) for r in QUERIES["op6_bpe_roundtrip"](spark, medium).collect()}
+    assert got == true
+
+
+def test_bpe_memory_is_constant(vocabulary):
+    import psutil
+
+    v = bpe.load(vocabulary)
+    rnd = random.Random(1)
+    piece = " ".join("".join(rnd.choices("aeinstr", k=rnd.randrange(1, 9))) for _ in range(9000)).encode()
+    for data, most in ((piece * 1200, 60 << 20), (b"xyz" * (1 << 20), 20 << 20)):  # some 60 MB of words; one word of 3 MB
+        words, trip = bpe.Words(v), bpe.RoundTrip(v)
+        stream, before, peak, held = bpe.TextStream(words), psutil.Process().memory_info().rss, 0, 0
+        for text, last in bpe.chunks(memoryview(data)):
+            trip.feed(stream.feed(text, last))
+            peak, held = max(peak, psutil.Process().memory_info().rss - before), max(held, len(stream.held) + len(stream.inside.pending if stream.inside else b""))
+        assert peak < most and held < 2 * bpe.CHUNK
+        assert trip.finish()[2] == hashlib.sha256(data).hexdigest()
+
+
 def test_bpe_equals_the_library_and_streams(vocabulary):
     import public_tokenizers
     from tokenizers import Tokenizer
@@ -212,13 +265,13 @@ def test_bpe_equals_the_library_and_streams(vocabulary):
     for _ in range(400):
         text = "".join(rnd.choices(pieces, k=rnd.randrange(20)))
         true = library.encode(text, add_special_tokens=False).ids
-        assert [int(i) for s, n, _ in bpe.encode(text, words) if n for i in s.split(",")] == true
-        stream, ids, at = bpe.TextStream(v), [], 0
+        assert numbers(p for parts in bpe.streamed(memoryview(text.encode()), words) for p in parts) == true
+        stream, parts, at = bpe.TextStream(words), [], 0
         while at < len(text):
             step = rnd.choice([1, 3, 40, 500])
-            ids += stream.feed(text[at : at + step])
+            parts += stream.feed(text[at : at + step])
             at += step
-        assert ids + stream.finish() == true
+        assert numbers(parts + stream.finish()) == true
         decoder = bpe.Decoder(v)
         assert "".join(decoder.feed([i]) for i in true) + decoder.finish() == text
     for alphabet in ("ab", "=-", "aeinst", "0123456789"):

@@ -5,6 +5,10 @@ computes that bound once per merge list; ``WordStream`` keeps that many bytes pe
 ends before them. What is left starts at a true token boundary, and no merge crosses one, so encoding goes on from
 there with nothing else remembered: memory depends on the merge list, not on the text.
 
+A text goes through ``TextStream`` in chunks of CHUNK bytes, read from the column's buffer: it gives the tokens that no later
+chunk can change and keeps the last word and what may become a special text. A word that does not end in the chunk goes on through
+its own ``WordStream``. Tokens are counted, digested and decoded as they come. Words met before are looked up in ``Words``.
+
 Null text counts as empty (no ids, empty decoded text); repeated rows give repeated rows.
 """
 
@@ -26,11 +30,15 @@ from .common import arrow_map, read, slices, with_fields
 
 #: The word pattern of the byte-level pre-tokenizer (fixed value).
 WORD = r"'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\p{White_Space}\p{L}\p{N}]+|\p{White_Space}+(?!\P{White_Space})|\p{White_Space}+"
-#: Words of more bytes than this are streamed; shorter ones are encoded at once and remembered.
-SHORT = 128
-#: Words remembered by one worker before it starts anew.
-REMEMBERED = 400_000
+#: Bytes of a text that are taken at once.
+CHUNK = 1 << 16
+#: A word of more characters than this is not waited for: what has come of it is encoded.
+WAITED = 512
+#: Words, and characters of them, remembered by one worker before it starts anew.
+REMEMBERED, REMEMBERED_CHARS = 400_000, 8_000_000
 _NEVER = 1 << 60
+#: What a word that is not waited for can go on with: letters, numbers, other marks, white space.
+KINDS = [regex.compile(p) for p in (r"\p{L}+", r"\p{N}+", r"[^\p{White_Space}\p{L}\p{N}]+", r"\p{White_Space}+")]
 
 
 def byte_letters() -> dict[str, int]:
@@ -99,7 +107,7 @@ class Vocabulary:
 
     def merge(self, data: bytes) -> list[int]:
         """The ids of one word: the lowest-ranked pair merges first, the leftmost of equals."""
-        if len(data) > 4 * SHORT:
+        if len(data) > WAITED:
             return self._merge_long(data)
         parts = list(map(self.byte_id.__getitem__, data))
         get, made = self.rank.get, self.made
@@ -168,70 +176,93 @@ class WordStream:
         return out
 
 
-class TextStream:
-    """Encodes a text that arrives in chunks, special texts apart; ids come out once no later chunk can change them."""
+#: What becomes of one word or special text: its ids as decimal text, how many, and their bytes.
+Part = tuple[str, int, bytes]
+
+
+class Words(dict):
+    """word -> Part, by a stream of its own; what is remembered is bounded and changes no result."""
 
     def __init__(self, vocabulary: Vocabulary):
-        self.vocabulary, self.held, self.inside, self.kind = vocabulary, "", None, None
-        self.keep = max([2, *(len(s) for s in vocabulary.special)])
-        self.kinds = [regex.compile(p) for p in (r"\p{L}+", r"\p{N}+", r"[^\p{White_Space}\p{L}\p{N}]+", r"\p{White_Space}+")]
+        super().__init__()
+        self.vocabulary, self.chars = vocabulary, 0
+
+    def part(self, ids: list[int]) -> Part:
+        return ",".join(map(str, ids)), len(ids), b"".join([self.vocabulary.token_bytes[i] for i in ids])
+
+    def __missing__(self, word: str) -> Part:
+        stream = WordStream(self.vocabulary)
+        made = self.part(stream.feed(word.encode("utf-8", "surrogatepass")) + stream.finish())
+        if len(self) >= REMEMBERED or self.chars > REMEMBERED_CHARS:
+            self.clear()
+            self.chars = 0
+        self[word] = made
+        self.chars += len(word)
+        return made
 
-    def feed(self, chunk: str) -> list[int]:
-        self.held += chunk
-        return self._advance(False)
 
-    def finish(self) -> list[int]:
-        return self._advance(True)
+class TextStream:
+    """Encodes a text that arrives in chunks, special texts apart; parts come out once no later chunk can change them."""
 
-    def _advance(self, last: bool) -> list[int]:
-        v, out = self.vocabulary, []
-        while True:
-            found = v.split.search(self.held) if v.split else None
-            if found is None:
-                break
-            out += self._words(self.held[: found.start()], True)
-            out.append(v.special[found.group()])
-            self.held = self.held[found.end() :]
+    def __init__(self, words: Words):
+        self.words, self.vocabulary, self.held, self.inside, self.kind = words, words.vocabulary, "", None, None
+        self.keep = max([2, *(len(s) for s in self.vocabulary.special)])
+
+    def feed(self, chunk: str, last: bool = False) -> list[Part]:
+        v, out, text, at = self.vocabulary, [], self.held + chunk, 0
+        for m in v.split.finditer(text) if v.split else ():
+            out += self._words(text[at : m.start()], True)[0]
+            out.append((str(v.special[m.group()]), 1, m.group().encode()))
+            at = m.end()
         if last:
-            out += self._words(self.held, True)
+            out += self._words(text[at:], True)[0]
             self.held = ""
         else:  # the end may be the start of a special text
-            free = max(0, len(self.held) - self.keep)
-            left = self._words(self.held[:free], False)
-            out += left[0]
-            self.held = left[1] + self.held[free:]
+            free = max(at, len(text) - self.keep)
+            parts, rest = self._words(text[at:free], False)
+            out += parts
+            self.held = rest + text[free:]
         return out
 
-    def _words(self, text: str, whole: bool):
+    def finish(self) -> list[Part]:
+        return self.feed("", True)
+
+    def _words(self, text: str, whole: bool) -> tuple[list[Part], str]:
+        """Parts of the words that are settled, and the text after them; whole: no more of this text will come."""
         v, out, at = self.vocabulary, [], 0
         if self.inside is not None:
             run = self.kind.match(text)
             at = run.end() if run else 0
             ends = whole or at < len(text)
-            back = at and ends and self.kind is self.kinds[3] and at < len(text)
-            if self.kind is self.kinds[3] and at == len(text) and not whole:
+            back = at and ends and self.kind is KINDS[3] and at < len(text)
+            if self.kind is KINDS[3] and at == len(text) and not whole:
                 at -= bool(at)  # the last space may belong to what follows
                 ends = False
-            out += self.inside.feed(text[: at - back].encode("utf-8", "surrogatepass"))
+            ids = self.inside.feed(text[: at - back].encode("utf-8", "surrogatepass"))
             at -= back
             if ends:
-                out += self.inside.finish()
+                ids += self.inside.finish()
                 self.inside = None
-            else:
+            if ids:
+                out.append(self.words.part(ids))
+            if not ends:
                 return out, text[at:]
-        for m in v.word.finditer(text, at):
-            if not whole and m.end() > len(text) - 2:
-                if m.end() - m.start() > 4 * SHORT:
-                    piece = m.group()
-                    self.kind = next(k for k in self.kinds if k.match(piece[-1]))
-                    body = piece[:-1] if self.kind is self.kinds[3] else piece
-                    self.inside = WordStream(v)
-                    out += self.inside.feed(body.encode("utf-8", "surrogatepass"))
-                    return out, text[m.start() + len(body) :]
-                break
-            out += v.merge(m.group().encode("utf-8", "surrogatepass"))
-            at = m.end()
-        return out if whole else (out, text[at:])
+        found, end = v.word.findall(text, at), len(text)
+        if not whole:  # a word that ends here may go on, and a space before it may belong to what follows
+            last = ""
+            while found and end > len(text) - 2:
+                last = found.pop()
+                end -= len(last)
+            if len(last) > WAITED:
+                out += map(self.words.__getitem__, found)
+                self.kind = next(k for k in KINDS if k.match(last[-1]))
+                body = last[:-1] if self.kind is KINDS[3] else last
+                self.inside = WordStream(v)
+                if ids := self.inside.feed(body.encode("utf-8", "surrogatepass")):
+                    out.append(self.words.part(ids))
+                return out, text[end + len(body) :]
+        out += map(self.words.__getitem__, found)
+        return out, text[end:]
 
 
 class Decoder:
@@ -242,7 +273,10 @@ class Decoder:
         self.vocabulary, self.machine = vocabulary, codecs.getincrementaldecoder("utf-8")("replace")
 
     def feed(self, ids: list[int]) -> str:
-        return self.machine.decode(b"".join(self.vocabulary.token_bytes.get(i, b"") for i in ids))
+        return self.feed_bytes(b"".join([self.vocabulary.token_bytes.get(i, b"") for i in ids]))
+
+    def feed_bytes(self, data: bytes) -> str:
+        return self.machine.decode(data)
 
     def finish(self) -> str:
         return self.machine.decode(b"", True)
@@ -259,39 +293,42 @@ def load(raw: bytes) -> Vocabulary:
     return _loaded[key]
 
 
-class Words(dict):
-    """word -> (ids as text, number of ids, bytes of the ids); short words only, at most REMEMBERED."""
+def chunks(data: memoryview | None) -> Iterator[tuple[str, bool]]:
+    """The text in pieces, and whether each is the last; there is always one. No piece ends within a character."""
+    machine, size = codecs.getincrementaldecoder("utf-8")("replace"), len(data) if data is not None else 0
+    for at in range(0, max(size, 1), CHUNK):
+        last = at + CHUNK >= size
+        yield machine.decode(bytes(data[at : at + CHUNK]) if size else b"", last), last
+
+
+def streamed(data: memoryview | None, words: Words) -> Iterator[list[Part]]:
+    """The parts of a text, list by list."""
+    stream = TextStream(words)
+    for piece, last in chunks(data):
+        yield stream.feed(piece, last)
+
+
+class RoundTrip:
+    """Takes parts as they come: number and digest of the ids, digest of the text decoded from them."""
 
     def __init__(self, vocabulary: Vocabulary):
-        super().__init__()
-        self.vocabulary = vocabulary
-
-    def __missing__(self, word: str) -> tuple[str, int, bytes]:
-        data = word.encode("utf-8", "surrogatepass")
-        if len(data) > SHORT:
-            stream = WordStream(self.vocabulary)
-            ids = stream.feed(data) + stream.finish()
-        else:
-            ids = self.vocabulary.merge(data)
-        made = (",".join(map(str, ids)), len(ids), b"".join([self.vocabulary.token_bytes[i] for i in ids]))
-        if len(data) <= SHORT:
-            if len(self) >= REMEMBERED:
-                self.clear()
-            self[word] = made
-        return made
+        self.count, self.ids, self.text, self.decoder = 0, hashlib.sha256(), hashlib.sha256(), Decoder(vocabulary)
 
+    def feed(self, parts: list[Part]) -> None:
+        if parts:
+            self.ids.update((b"," if self.count else b"") + ",".join([p[0] for p in parts]).encode())
+            self.count += sum([p[1] for p in parts])
+            self.text.update(self.decoder.feed_bytes(b"".join([p[2] for p in parts])).encode("utf-8"))
 
-def encode(text: str, words: Words) -> list[tuple[str, int, bytes]]:
-    v = words.vocabulary
-    if v.split is None or not v.split.search(text):
-        return list(map(words.__getitem__, v.word.findall(text)))
-    out, at = [], 0
-    for m in [*v.split.finditer(text), None]:
-        out += map(words.__getitem__, v.word.findall(text[at : m.start() if m else len(text)]))
-        if m:
-            out.append((str(v.special[m.group()]), 1, m.group().encode()))
-            at = m.end()
-    return out
+    def finish(self) -> tuple[int, str, str]:
+        self.text.update(self.decoder.finish().encode("utf-8"))
+        return self.count, self.ids.hexdigest(), self.text.hexdigest()
+
+
+def _views(column: pa.Array) -> Iterator[memoryview | None]:
+    """The UTF-8 bytes of each text where they lie."""
+    for x in column.cast(pa.binary()):
+        yield memoryview(x.as_buffer()) if x.is_valid else None
 
 
 def encode_column(df: DataFrame, raw: bytes, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
@@ -304,11 +341,15 @@ def encode_column(df: DataFrame, raw: bytes, text: str = "text", keep: tuple[str
         words = Words(v)
         for batch in slices(batches, text):
             ids, texts = [], []
-            for t in batch.column(text).to_pylist():
-                own = [int(i) for s, n, _ in encode(t or "", words) if n for i in s.split(",")]
-                decoder = Decoder(v)
+            for data in _views(batch.column(text)):
+                own, decoder = [], Decoder(v)
+                back = []
+                for parts in streamed(data, words):
+                    new = [int(i) for p in parts for i in p[0].split(",")]
+                    own += new
+                    back.append(decoder.feed(new))
                 ids.append(own)
-                texts.append(decoder.feed(own) + decoder.finish())
+                texts.append("".join([*back, decoder.finish()]))
             yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(ids, pa.list_(pa.int32())), pa.array(texts, pa.string())], [*keep, "ids", "decoded"])
 
     return arrow_map(df.select(*keep, text), run, schema)
@@ -321,18 +362,17 @@ def token_digest(df: DataFrame, raw: bytes) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = Words(load(shared.value))
         for batch in slices(batches):
-            counts, ids, back = [], [], []
-            for text in batch.column("text").to_pylist():
-                parts = encode(text or "", words)
-                counts.append(sum([p[1] for p in parts]))
-                ids.append(hashlib.sha256(",".join([p[0] for p in parts]).encode()).hexdigest())
-                machine = codecs.getincrementaldecoder("utf-8")("replace")
-                decoded = machine.decode(b"".join([p[2] for p in parts])) + machine.decode(b"", True)
-                back.append(hashlib.sha256(decoded.encode("utf-8")).hexdigest())
+            rows = []
+            for data in _views(batch.column("text")):
+                trip = RoundTrip(words.vocabulary)
+                for parts in streamed(data, words):
+                    trip.feed(parts)
+                rows.append(trip.finish())
+            counts, ids, back = zip(*rows, strict=True)
             yield pa.RecordBatch.from_arrays([batch.column("doc_id"), pa.array(counts, pa.int64()), pa.array(ids), pa.array(back)], ["doc_id", "n_tokens", "ids_sha256", "decoded_sha256"])
 
-    return arrow_map(df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text")), run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string"
-    )
+    docs = df.select(F.col("doc_id").cast("long").alias("doc_id"), F.col("text").cast("string").alias("text"))
+    return arrow_map(docs, run, "doc_id long, n_tokens long, ids_sha256 string, decoded_sha256 string")
 
 
 def op6_bpe_roundtrip(spark: SparkSession, sf_dir: str, vocabulary: str | None = None) -> DataFrame:
