@@ -87,25 +87,53 @@ def brute_fingerprint(text):
     return sum(1 << b for b in range(64) if 2 * sum(h >> b & 1 for h in hs) > len(hs))
 
 
-@pytest.mark.parametrize("limit", [64, 2, 1])
-def test_simhash_components(spark, limit):
+def test_simhash_lists_count_bytes():
+    """How many lists two fingerprints share follows from how many positional bytes they share."""
+    from itertools import combinations
+
+    assert len(simhash.FOURS) == 14
+    for n, shared in ((8, {14}), (7, {7}), (6, {3}), (5, {1}), (4, {0, 1}), (3, {0})):
+        assert {sum({*four} <= {*own} for four in simhash.FOURS) for own in combinations(range(8), n)} == shared
+    assert [simhash.guaranteed(k) for k in (0, 1, 2)] == [14, 7, 3]
+
+
+def signed(fps):
+    return [f - (1 << 64) if f >> 63 else f for f in fps]
+
+
+def test_simhash_tally(spark):
+    """The index gives each pair the number of its lists, and the filter what shares six bytes."""
+    rnd = random.Random(2)
+    base = rnd.getrandbits(64)
+    fps = signed({base ^ (rnd.getrandbits(8) << 8 * rnd.randrange(8)) ^ (rnd.getrandbits(8) << 8 * rnd.randrange(8)) for _ in range(40)})
+    pairs, long = simhash._lists(spark.createDataFrame([(s,) for s in fps], "fp long").select("fp", simhash._postings()), 10**6)
+    same = lambda a, b: {p for p in range(8) if (a ^ b) >> 8 * p & 255 == 0}
+    lists = {(a, b): n for a in fps for b in fps if a < b and (n := sum({*four} <= same(a, b) for four in simhash.FOURS))}
+    assert {(r["a"], r["b"]): r["shared"] for r in simhash.tally(pairs, 1).collect()} == lists and long.count() == 0
+    assert {(r["a"], r["b"]) for r in simhash.tally(pairs, 3).collect()} == {(a, b) for a in fps for b in fps if a < b and len(same(a, b)) >= 6}
+    dropped = [p for p, n in lists.items() if n < 3]
+    assert dropped and simhash.links(spark.createDataFrame([(s,) for s in fps], "fp long"))._jdf.queryExecution().toString().count("shared") >= 2
+
+
+@pytest.mark.parametrize(("limit", "bits"), [(64, 2), (20, 2), (2, 2), (1, 2), (64, 1), (2, 1), (64, 0)])
+def test_simhash_components(spark, limit, bits):
     rnd = random.Random(4)
     base = [rnd.getrandbits(64) for _ in range(12)]
-    fps = sorted({b ^ (1 << rnd.randrange(64)) ^ (1 << rnd.randrange(64)) for b in base for _ in range(15)} | {rnd.getrandbits(64) for _ in range(200)})
-    signed = [f - (1 << 64) if f >> 63 else f for f in fps]
-    got = {(min(r["a"], r["b"]), max(r["a"], r["b"])) for r in simhash.links(spark.createDataFrame([(s,) for s in signed], "fp long"), 2, limit).collect()}
-    true = {(min(a, b), max(a, b)) for i, a in enumerate(signed) for j, b in enumerate(signed) if i < j and (fps[i] ^ fps[j]).bit_count() <= 2}
+    fps = sorted({b ^ (1 << rnd.randrange(64)) ^ (1 << rnd.randrange(64)) for b in base for _ in range(15)} | {rnd.getrandbits(64) for _ in range(200)} | {base[0] ^ rnd.getrandbits(16) for _ in range(150)})
+    own = signed(fps)
+    got = {(min(r["a"], r["b"]), max(r["a"], r["b"])) for r in simhash.links(spark.createDataFrame([(s,) for s in own], "fp long"), bits, limit).collect()}
+    true = {(min(a, b), max(a, b)) for i, a in enumerate(own) for j, b in enumerate(own) if i < j and (fps[i] ^ fps[j]).bit_count() <= bits}
     assert got <= true
 
     def groups(edges):
-        own = {s: s for s in signed}
-        for _ in range(len(signed)):
-            new = dict(own)
+        root = {s: s for s in own}
+        for _ in range(len(own)):
+            new = dict(root)
             for a, b in edges:
                 new[a] = new[b] = min(new[a], new[b])
-            if new == own:
-                return own
-            own = new
+            if new == root:
+                return root
+            root = new
 
     assert groups(got) == groups(true)
 

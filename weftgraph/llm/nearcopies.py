@@ -1,8 +1,10 @@
-"""Near copies by the Jaccard similarity of whole texts: MinHash bands propose pairs, the shingle sets decide.
+"""Near copies: SimHash near-duplicates with five-word shingles, completed and decided by whole-text Jaccard similarity.
 
-A text is the set of its word shingles. Its MinHash signature is cut into bands, and two texts are compared if a band
-agrees. A pair at similarity s meets in no band with probability (1 - s ** ROWS) ** BANDS: 5e-8 at 0.8, less above.
-Each proposed pair is compared on both whole sets, so no pair below the threshold is linked.
+A text is the set of its word shingles. Pairs are proposed by the positional-byte index over SimHash fingerprints of the
+shingles, and, since that index reaches two bits and a pair at similarity 0.8 differs in ten of 64 bits on the mean, by bands of a
+MinHash signature too: two texts are compared if a band agrees. A pair at similarity s meets in no band with
+probability (1 - s ** ROWS) ** BANDS: 5e-8 at 0.8, less above. Each proposed pair is compared on both whole sets, so no pair
+below the threshold is linked.
 
 Texts with equal sets are one node. In a band list longer than ``list_limit`` members are first compared with one of
 the list, again after each round with one of another component; only what is still in different components is then
@@ -20,6 +22,7 @@ from pyspark.sql import functions as F
 
 from .common import WordHashes, arrow_map, cut, mix64, slices, text_blobs, with_fields
 from .graphs import components
+from .simhash import links
 
 WORDS, BANDS, ROWS, STAR_ROUNDS = 5, 32, 4, 3
 #: Odd multipliers and masks of the signature's hash functions, and the multipliers of a shingle's words.
@@ -27,8 +30,8 @@ _RANDOM = np.random.default_rng(42).integers(0, 1 << 64, (3, BANDS * ROWS), np.u
 _TIMES, _MASKS, _PLACES = _RANDOM[0] | np.uint64(1), _RANDOM[1], _RANDOM[2] | np.uint64(1)
 
 
-def shingle_set(data: bytes, hashes: WordHashes, words: int = WORDS) -> np.ndarray:
-    """Sorted distinct hashes of the word shingles; A-Z are lower-cased, white space is ASCII, a shorter text is one shingle."""
+def shingles(data: bytes, hashes: WordHashes, words: int = WORDS) -> np.ndarray:
+    """Hashes of the word shingles, repeats included; A-Z are lower-cased, white space is ASCII, a shorter text is one shingle."""
     own = hashes.of(data.lower().split())
     n = len(own) - words + 1
     if n < 1:
@@ -36,7 +39,15 @@ def shingle_set(data: bytes, hashes: WordHashes, words: int = WORDS) -> np.ndarr
     total = np.full(n, words, np.uint64)
     for k in range(words):
         total += own[k : k + n] * _PLACES[k]
-    return np.unique(mix64(total))
+    return mix64(total)
+
+
+def _simhash(all_hashes: np.ndarray) -> int:
+    """Each bit is 1 if set in over half the hashes."""
+    ones = np.zeros(64, np.int64)
+    for at in range(0, len(all_hashes), 1 << 14):
+        ones += np.unpackbits(all_hashes[at : at + (1 << 14)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+    return int(np.packbits(2 * ones > len(all_hashes), bitorder="little").view("<u8")[0])
 
 
 def _bands(sets: list[np.ndarray]) -> np.ndarray:
@@ -54,19 +65,23 @@ def _key(own: np.ndarray) -> int:
 
 
 def signatures(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("doc_id",), words: int = WORDS) -> DataFrame:
-    """``keep`` columns, ``key`` of the shingle set, its size ``n``, and ``bands``, which an empty set has none of."""
-    schema = with_fields(df, keep, "key long, n long, bands array<long>")
+    """``keep`` columns, ``key`` of the shingle set, its size ``n``, its SimHash ``fp``, and ``bands``, which an empty set has none of."""
+    schema = with_fields(df, keep, "key long, n long, fp long, bands array<long>")
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         for batch in slices(batches, text):
-            sets = [shingle_set(b, hashes, words) for b in text_blobs(batch, text)]
+            sets, fps = [], []
+            for data in text_blobs(batch, text):
+                every = shingles(data, hashes, words)
+                fps.append(_simhash(every))
+                sets.append(np.unique(every))
             full = [s for s in sets if len(s)]
             keys = np.array([_key(s) for s in sets], np.uint64).view(np.int64)
             flat = _bands(full).view(np.int64).ravel() if full else np.zeros(0, np.int64)
             ends = np.cumsum([0, *(BANDS * bool(len(s)) for s in sets)]).astype(np.int32)
             bands = pa.ListArray.from_arrays(pa.array(ends), pa.array(flat))
-            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(keys), pa.array([len(s) for s in sets], pa.int64()), bands], [*keep, "key", "n", "bands"])
+            yield pa.RecordBatch.from_arrays([*(batch.column(k) for k in keep), pa.array(keys), pa.array([len(s) for s in sets], pa.int64()), pa.array(np.array(fps, np.uint64).view(np.int64)), bands], [*keep, "key", "n", "fp", "bands"])
 
     return arrow_map(df.select(*keep, text), run, schema)
 
@@ -77,7 +92,7 @@ def _sets(df: DataFrame, text: str, words: int) -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
         for batch in slices(batches, text):
-            sets = [shingle_set(b, hashes, words) for b in text_blobs(batch, text)]
+            sets = [np.unique(shingles(b, hashes, words)) for b in text_blobs(batch, text)]
             keys = np.array([_key(s) for s in sets], np.uint64).view(np.int64)
             ends = np.cumsum([0, *map(len, sets)]).astype(np.int32)
             flat = np.concatenate([np.zeros(0, np.uint64), *sets]).view(np.int64)
@@ -100,6 +115,15 @@ def _pairs(members: DataFrame, percent: int) -> DataFrame:
     return a.join(b, "posting").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & near).select("a", "b").distinct()
 
 
+def _proposed(nodes: DataFrame) -> DataFrame:
+    """Pairs (a, b) of keys whose fingerprints are equal or linked; one key stands for all of a fingerprint in the links."""
+    named = cut(nodes.where("n > 0").groupBy("fp").agg(F.min("key").alias("lead"), F.count(F.lit(1)).alias("keys")))
+    equal = nodes.join(named.where("keys > 1"), "fp").where("key > lead").select(F.col("lead").alias("a"), F.col("key").alias("b"))
+    near = links(named.select("fp"))
+    near = near.join(named.select(F.col("fp").alias("a"), F.col("lead").alias("x")), "a").join(named.select(F.col("fp").alias("b"), F.col("lead").alias("y")), "b")
+    return equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
+
+
 def _stars(members: DataFrame, tested: DataFrame | None) -> DataFrame:
     """For each member one pair with the leader of a list whose component is another."""
     lead = members.groupBy("posting").agg(F.min(F.struct("component", "key")).alias("lead"), F.max("component").alias("most")).where("lead.component < most")
@@ -112,17 +136,18 @@ def _stars(members: DataFrame, tested: DataFrame | None) -> DataFrame:
 def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", percent: int = 80, words: int = WORDS, list_limit: int = 16) -> DataFrame:
     """``id_column`` and ``component_id``, the smallest id among all rows that near copies lead to."""
     own = cut(signatures(df, text, (id_column,), words))
-    nodes = cut(own.groupBy("key").agg(F.min(id_column).alias("least"), F.min("n").alias("n"), F.any_value("bands").alias("bands")))
+    nodes = cut(own.groupBy("key").agg(F.min(id_column).alias("least"), F.min("n").alias("n"), F.min("fp").alias("fp"), F.any_value("bands").alias("bands")))
     posted = nodes.select("key", "n", F.explode("bands").alias("posting"))
     sizes = posted.groupBy("posting").agg(F.count(F.lit(1)).alias("listed")).where("listed > 1")
     members = cut(posted.join(sizes, "posting").withColumn("component", F.col("key")))
-    asked = members.select("key").distinct()
+    proposed = cut(_proposed(nodes))
+    asked = members.select("key").unionByName(proposed.select(F.explode(F.array("a", "b")).alias("key"))).distinct()
     ids = nodes.join(asked, "key", "left_semi").select(F.col("least").alias(id_column)).distinct()
     sets = cut(_sets(df.join(ids, id_column, "left_semi"), text, words).join(asked, "key", "left_semi").dropDuplicates(["key"]))
 
     short, long = members.where(F.col("listed") <= list_limit), members.where(F.col("listed") > list_limit)
-    links = cut(_similar(_pairs(short, percent), sets, percent))
-    labels, tested = components(links), None
+    near = cut(_similar(_pairs(short, percent).unionByName(proposed).distinct(), sets, percent))
+    labels, tested = components(near), None
     if not long.isEmpty():
         for at in range(STAR_ROUNDS + 1):
             told = cut(long.drop("component").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key")))
@@ -131,8 +156,8 @@ def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", pe
                 tested = asks if tested is None else tested.unionByName(asks)
             else:
                 asks = _pairs(told, percent).join(tested, ["a", "b"], "left_anti")
-            links = cut(links.unionByName(_similar(asks, sets, percent)))
-            labels = components(links)
+            near = cut(near.unionByName(_similar(asks, sets, percent)))
+            labels = components(near)
     named = nodes.join(labels.withColumnRenamed("node", "key"), "key", "left").select("key", "least", F.coalesce("component", "key").alias("component"))
     roots = named.groupBy("component").agg(F.min("least").alias("component_id"))
     return own.join(named.join(roots, "component").select("key", "component_id"), "key", "left").select(id_column, "component_id")

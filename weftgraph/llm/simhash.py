@@ -1,15 +1,18 @@
 """SimHash near-duplicates through a byte-position inverted index with count filtering.
 
-A 64-bit fingerprint is eight bytes. Two fingerprints that differ in k bits share at least 8 - k positional bytes,
-so a pair that shares fewer is dropped before its bits are compared. Posting a fingerprint under each single byte
-would put 1/256 of all rows in a list; postings are therefore compound: the positions are dealt into k + 2 groups,
-of which k bits leave two untouched, and a fingerprint is posted under each two groups with the bytes they hold.
-Every pair within k bits meets in at least one list.
-
-Equal fingerprints are one posting, so groups of exact copies cost one row. A list longer than ``list_limit`` is not
-paired: its fingerprints post every value within one bit, and those under one value are linked as a star. Two
-fingerprints within two bits always share such a value and two that share one are within two bits, so this is
-exact, and linear in the rows.
+A 64-bit fingerprint is eight bytes. Two fingerprints that differ in k bits share at least 8 - k positional bytes.
+A list for each single byte would hold 1/256 of all rows, so a list holds the fingerprints that agree on four positions,
+and the fourfold positions are chosen so that lists can be counted instead of bytes: of the 70 there are, those 14
+whose numbers have the exclusive or zero. Every three positions lie in exactly one of them, whence two fingerprints
+that share 8, 7, 6, 5 or fewer bytes meet in 14, 7, 3, 1 or at most one list. So the lists that a pair shares are
+tallied, and pairs below the count that ``bits`` guarantees (3 lists, that is 6 bytes, for 2 bits) are dropped before
+their bits are compared.
+
+Equal fingerprints are one posting, so groups of exact copies cost one row. A list longer than ``list_limit`` is not paired
+and counted but split: its members agree on four bytes and must agree on two more, so each is posted under the six choices
+of these. Such a list is what the count asks for, and has 65,536 different fingerprints at most, two bytes being free. Where
+it still is longer than ``list_limit``, its fingerprints post every value within one bit, and those under one value are linked
+as a star: two fingerprints within two bits always share such a value and two that share one are within two bits. All of this is exact.
 
 Null and blank texts have fingerprint zero, which links like any other; rows with equal ids are one node; a null id
 takes no part in choosing a component's smallest id.
@@ -61,47 +64,66 @@ def fingerprints(df: DataFrame, text: str = "text", keep: tuple[str, ...] = ("do
     return arrow_map(df.select(*keep, text), run, schema)
 
 
-def _postings(bits: int) -> Column:
-    """One key for each two groups of byte positions: which groups, and the bytes they hold."""
-    groups = [list(g) for g in np.array_split(np.arange(8), bits + 2)]
-    keys = []
-    for number, (g, h) in enumerate(combinations(groups, 2)):
-        mask = sum(0xFF << int(8 * p) for p in [*g, *h])
-        keys.append(F.xxhash64(F.lit(number), F.col("fp").bitwiseAND(F.lit(mask - (1 << 64) if mask >> 63 else mask))))
-    return F.explode(F.array(*keys)).alias("posting")
+#: Fourfold byte positions of which every three positions lie in exactly one.
+FOURS = [c for c in combinations(range(8), 4) if c[0] ^ c[1] ^ c[2] ^ c[3] == 0]
+
+
+def guaranteed(bits: int) -> int:
+    """Lists that any two fingerprints within ``bits`` bits share."""
+    return min(sum(not {*gone} & {*four} for four in FOURS) for gone in combinations(range(8), bits))
+
+
+def _mask(positions) -> int:
+    mask = sum(0xFF << (8 * p) for p in positions)
+    return mask - (1 << 64) if mask >> 63 else mask
 
 
-def shared_bytes(x: Column) -> Column:
-    """Positional bytes that two fingerprints share, from their exclusive or."""
-    return sum((F.when(F.shiftrightunsigned(x, 8 * p).bitwiseAND(F.lit(255)) == 0, 1).otherwise(0) for p in range(8)), F.lit(0))
+def _postings() -> Column:
+    """For each four positions: which, and a key of the bytes they hold."""
+    keys = [F.struct(F.lit(k).alias("four"), F.xxhash64(F.lit(k), F.col("fp").bitwiseAND(F.lit(_mask(four)))).alias("posting")) for k, four in enumerate(FOURS)]
+    return F.inline(F.array(*keys))
+
+
+def _splits(bits: int) -> Column:
+    """For a member of a list, a key for each choice of further positions in which it must agree with one within ``bits`` bits."""
+    rest = [[_mask(c) for c in combinations(sorted({*range(8)} - {*four}), 4 - bits)] for four in FOURS]
+    masks = F.element_at(F.array(*(F.array(*map(F.lit, own)) for own in rest)), F.col("four") + 1)
+    return F.explode(F.transform(masks, lambda m: F.xxhash64(F.col("posting"), m, F.col("fp").bitwiseAND(m)))).alias("posting")
+
+
+def _lists(posted: DataFrame, list_limit: int) -> tuple[DataFrame, DataFrame]:
+    """Pairs (a, b) of each short list, one row a list they share, and the members of the long ones."""
+    sizes = cut(posted.groupBy("posting").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1"))
+    members = posted.join(sizes.where("n > 2").select("posting", "n"), "posting")
+    lists = members.where(F.col("n") <= list_limit).groupBy("posting").agg(F.collect_list("fp").alias("fps"))
+    listed = lists.select("fps", F.explode("fps").alias("a")).select("a", F.explode("fps").alias("b")).where("a < b")
+    return sizes.where("n = 2").select("a", "b").unionByName(listed), members.where(F.col("n") > F.greatest(F.lit(list_limit), F.lit(2))).drop("n")
+
+
+def tally(pairs: DataFrame, least: int) -> DataFrame:
+    """Distinct pairs that share ``least`` lists or more, and how many."""
+    return pairs.groupBy("a", "b").agg(F.count(F.lit(1)).alias("shared")).where(F.col("shared") >= least)
 
 
 def links(fps: DataFrame, bits: int = 2, list_limit: int = 64) -> DataFrame:
     """Links (a, b) among distinct fingerprints ``fp`` that connect all those within ``bits`` bits, two at most."""
     if not 0 <= bits <= 2:
         raise ValueError("bits must be 0, 1 or 2")
-    posted = fps.select("fp", _postings(bits))
-    sizes = posted.groupBy("posting").agg(F.count(F.lit(1)).alias("n"), F.min("fp").alias("a"), F.max("fp").alias("b")).where("n > 1")
-    sizes = cut(sizes)
-    members = posted.join(sizes.where("n > 2").select("posting", "n"), "posting")
-    lists = members.where(F.col("n") <= list_limit).groupBy("posting").agg(F.collect_list("fp").alias("fps"))
-    listed = lists.select("fps", F.explode("fps").alias("a")).select("a", F.explode("fps").alias("b")).where("a < b")
-    x = F.col("a").bitwiseXOR(F.col("b"))
-    pairs = (
-        sizes.where("n = 2").select("a", "b").unionByName(listed)
-        .withColumn("shared", shared_bytes(x)).where(F.col("shared") >= 8 - bits)
-        .where(F.bit_count(x) <= bits).select("a", "b")
-    )
+    pairs, long = _lists(fps.select("fp", _postings()), list_limit)
+    long = cut(long)
+    split, dense = _lists(long.select("fp", _splits(bits)), list_limit)
+    near = F.bit_count(F.col("a").bitwiseXOR(F.col("b"))) <= bits
+    found = tally(pairs, guaranteed(bits)).where(near).select("a", "b").unionByName(tally(split, 1).where(near).select("a", "b"))
     masks = [0, *((1 << b) - (1 << 64) if b == 63 else 1 << b for b in range(64))]
-    near = members.where(F.col("n") > list_limit).select("fp").distinct()
+    dense = dense.select("fp").distinct()
     if bits == 2:
-        spread = near.select("fp", F.explode(F.array(*(F.col("fp").bitwiseXOR(F.lit(m)) for m in masks))).alias("value"))
+        spread = dense.select("fp", F.explode(F.array(*(F.col("fp").bitwiseXOR(F.lit(m)) for m in masks))).alias("value"))
         stars = spread.join(spread.groupBy("value").agg(F.min("fp").alias("a"), F.count(F.lit(1)).alias("n")).where("n > 1").select("value", "a"), "value")
         stars = stars.where("a < fp").select("a", F.col("fp").alias("b"))
     else:  # within one bit: look each neighbour up
-        spread = near.select(F.col("fp").alias("a"), F.explode(F.array(*(F.col("fp").bitwiseXOR(F.lit(m)) for m in masks[1:] if bits))).alias("fp"))
-        stars = spread.join(near, "fp").select("a", F.col("fp").alias("b"))
-    return pairs.unionByName(stars).distinct()
+        spread = dense.select(F.col("fp").alias("a"), F.explode(F.array(*(F.col("fp").bitwiseXOR(F.lit(m)) for m in masks[1:] if bits))).alias("fp"))
+        stars = spread.join(dense, "fp").select("a", F.col("fp").alias("b"))
+    return found.unionByName(stars).distinct()
 
 
 def near_duplicates(df: DataFrame, id_column: str = "doc_id", text: str = "text", bits: int = 2, list_limit: int = 64, words: int = 3) -> DataFrame:
