@@ -176,6 +176,30 @@ def test_neighbours_blocks(spark):
     assert a == b
 
 
+def test_neighbours_of_clusters_score_few(spark):
+    rng = np.random.default_rng(0)
+    x = rng.normal(size=(100, 64))[rng.integers(0, 100, 10_000)] + 0.35 * rng.normal(size=(10_000, 64))
+    x /= np.linalg.norm(x, axis=1)[:, None]
+    df = spark.createDataFrame(pd.DataFrame({"vec_id": np.arange(len(x)), "embedding": x.tolist()}))
+    out = neighbours.nearest(df, F.col("vec_id") % 50 == 0, k=20).toPandas()
+    hits = []
+    for q, g in out.groupby("query_id"):
+        s = x @ x[q]
+        s[q] = -np.inf
+        hits.append(len(set(np.argsort(-s)[:20]) & set(g["vec_id"])) / 20)
+    assert np.mean(hits) >= 0.9 and out.drop_duplicates("query_id")["scored"].mean() < 0.3 * len(x)
+
+
+def test_the_index_is_chosen_by_a_sample():
+    rng = np.random.default_rng(1)
+    x = rng.normal(size=(3000, 16))
+    radius = np.sqrt((x * x).sum(axis=1)).max()
+    near = [x[np.argsort(-(x @ v))[1:11]] for v in x[:20]]
+    loose, strict = (neighbours.choose(near, x[:20], x, len(x), radius, 3, r) for r in (0.5, 0.95))
+    assert loose["sure"] >= 0.5 and strict["sure"] >= 0.95 and loose["cost"] <= strict["cost"]
+    assert neighbours.choose(near, x[:20], x, len(x), radius, 3, 2.0)["recall"] >= strict["recall"]
+
+
 def test_probe_order():
     cost = lambda f, s: sum(f[m] ** 2 if step < 0 else (1 - f[m]) ** 2 for m, step in s)
     f = np.array([0.1, 0.55, 0.8])
