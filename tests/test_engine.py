@@ -5,7 +5,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from weftgraph import api, metrics
-from weftgraph.operators import baselines, executor, graph_ops
+from weftgraph.operators import baselines, executor, graph_ops, iep
 from weftgraph.plans import compiler, planner, schedules, symmetry
 from weftgraph.plans.patterns import Pattern, clique, connected_shapes, named
 from weftgraph.plans.planner import Configuration
@@ -76,6 +76,18 @@ def test_induced_identities(random_graph):
     assert induced[rectangle] == plain[rectangle] - induced[diamond] - 3 * plain[k4]
 
 
+def test_induced_under_every_order(random_graph):
+    """Also where the last vertex is adjacent to all others, so that only earlier loops see a missing edge."""
+    g, _ = random_graph
+    p = named("diamond")
+    true = api.match(g, p, induced=True).count()
+    for o in schedules.efficient(p, 1)[0]:
+        c = Configuration(p, o, symmetry.orbit_restrictions(p))
+        assert api.count(g, p, c, method="enumerate", induced=True).first()["n"] == true
+        free = Configuration(p, o, frozenset())
+        assert api.count(g, p, free, method="enumerate", induced=True, distinct=False).first()["n"] == true * len(symmetry.automorphisms(p))
+
+
 def test_complete_graph_closed_form(spark):
     g = graphs.graph(spark, SMALL, "d4")
     assert api.count(g, named("w1")).first()["n"] == 15_120 and api.cliques(g, 5).first()["n"] == 252
@@ -149,6 +161,19 @@ def test_plans(d1, spark):
     assert "EqualTo(l_returnflag,R)" in scan and "l_extendedprice" not in scan
 
 
+@pytest.mark.parametrize("name,taken,looked", [("tailed", 1, 0), ("diamond", 1, 0), ("star3", 0, 0), ("wedge", 0, 0), ("rectangle", 1, 0), ("path4", 1, 0), ("w2", None, 0)])
+def test_suffix_plans(d1, name, taken, looked):
+    """No intersection where one list's candidates hold the other's, no probe whose answer the pattern gives, lengths instead of lists."""
+    c = planner.choose_iep(named(name), d1.stats())
+    found = iep.blocks(c, c.iep_k)
+    assert sum(len(b.probed) for b in found.values()) == looked
+    text = api.iep_count(d1, c)._jdf.queryExecution().executedPlan().toString()
+    distinct = {b.operands: b for b in found.values()}
+    made = {a for b in distinct.values() for a in b.arrays if len(a) > 1} | {b.operands for b in distinct.values() if len(b.arrays) > 1}
+    assert text.count("array_intersect(") == (len(made) if taken is None else taken)
+    assert text.count("array_contains(") == looked
+
+
 def test_measures(random_graph):
     g, _ = random_graph
     p = named("w1")

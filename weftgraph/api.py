@@ -75,20 +75,20 @@ def _count(g, p, config, method, induced, distinct, hint, wide, form, seeds) ->
     last = plan[-1]
     if last.above or last.below or last.barred or last.lists or (p.vlabels and p.vlabels[last.vertex] is not None):
         return compiler.emit(g, c, plan, hint, seeds).agg(F.count(F.lit(1)).cast(kind).alias("n"))
-    rows = compiler.emit(g, c, plan[:-1], hint, seeds)
-    found = F.col(compiler.array_name(c, last.candidates))
-    left = F.size(found) - sum((F.array_contains(found, F.col(p.names[u])).cast("int") for u in last.apart), F.lit(0))
-    return rows.agg(F.coalesce(F.sum(left.cast(kind)), F.lit(0)).cast(kind).alias("n"))
+    return _summed(g, c, 1, c.restrictions, hint, wide, "partitions", seeds, induced).select(F.col("s").alias("n"))
+
+
+def _summed(g: Graph, c: Configuration, k: int, restrictions, hint, wide: bool, form: str, seeds, induced: bool = False) -> DataFrame:
+    """One row, s: the tuples that the last k loops would bind, over all bindings of the loops before."""
+    arrays, sizes = iep.kept(c, k, form)
+    rows = compiler.emit(g, c, compiler.loop_plan(c, c.pattern.n - k, restrictions, induced, arrays, sizes), hint, seeds)
+    kind = "decimal(38,0)" if wide else "long"
+    return iep.count_steps(rows, c, k, form, wide).agg(F.coalesce(F.sum("tuples"), F.lit(0)).cast(kind).alias("s"))
 
 
 def iep_count(g: Graph, c: Configuration, hint: str | None = None, wide: bool = False, form: str = "partitions", seeds=None) -> DataFrame:
-    p, kind = c.pattern, "decimal(38,0)" if wide else "long"
-    outer = p.n - c.iep_k
-    plan = compiler.loop_plan(c, restrictions=c.outer)
-    rows = compiler.emit(g, c, plan[:outer], hint, seeds)
-    names = [compiler.array_name(c, loop.candidates) for loop in plan[outer:]]
-    tuples = iep.count_steps(rows, names, [p.names[v] for v in c.order[:outer]], form, wide)
-    summed = tuples.agg(F.coalesce(F.sum("tuples"), F.lit(0)).cast(kind).alias("s"))
+    kind = "decimal(38,0)" if wide else "long"
+    summed = _summed(g, c, c.iep_k, c.outer, hint, wide, form, seeds)
     d = F.lit(c.divisor).cast(kind)
     return summed.select(F.when(F.col("s") % d == 0, (F.col("s") / d).cast(kind) if wide else F.expr(f"s div {c.divisor}")).otherwise(F.raise_error(F.lit("the count is not a multiple of its divisor"))).cast(kind).alias("n"))
 

@@ -13,6 +13,7 @@ from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..sources.graphs import Graph, column_of
+from .patterns import Pattern
 from .planner import Configuration
 from .symmetry import closure
 
@@ -31,25 +32,31 @@ class Loop:
     lists: tuple[Operand, ...]  # lists to look up once bound
     temps: tuple[tuple[Operand, ...], ...]  # intersections to take once bound
     live: frozenset[tuple[Operand, ...]]  # arrays needed by later loops
+    sizes: tuple[Operand, ...] = ()  # lists of which the length alone is looked up
 
 
-def loop_plan(c: Configuration, loops: int | None = None, restrictions=None, induced: bool = False) -> list[Loop]:
-    """Plan of the first ``loops`` loops; arrays the remaining ones range over are kept live."""
+def lists_with(p: Pattern, u: int, v: int) -> list[Operand]:
+    """Lists of u that hold v, if v is adjacent to u."""
+    marks = dict(zip(p.edges, p.elabels or [None] * len(p.edges), strict=True))
+    if not p.directed:
+        e = tuple(sorted((u, v)))
+        return [(u, "n", marks[e])] if e in marks else []
+    return [(u, way, marks[e]) for way, e in (("o", (u, v)), ("i", (v, u))) if e in marks]
+
+
+def loop_plan(c: Configuration, loops: int | None = None, restrictions=None, induced: bool = False, arrays: tuple[tuple[Operand, ...], ...] | None = None, sizes: tuple[Operand, ...] = ()) -> list[Loop]:
+    """Plan of the first ``loops`` loops; arrays the remaining ones range over are kept live.
+
+    arrays: keep these instead, for what takes the place of the remaining loops; sizes: and the lengths of these lists.
+    """
     p, order = c.pattern, c.order
     loops = p.n if loops is None else loops
     rules = closure(c.restrictions if restrictions is None else restrictions)
     at = {v: i for i, v in enumerate(order)}
-    marks = dict(zip(p.edges, p.elabels or [None] * len(p.edges), strict=True))
-
-    def lists(u: int, v: int) -> list[Operand]:
-        """Lists of u that hold v, if v is adjacent to u."""
-        if not p.directed:
-            e = tuple(sorted((u, v)))
-            return [(u, "n", marks[e])] if e in marks else []
-        return [(u, way, marks[e]) for way, e in (("o", (u, v)), ("i", (v, u))) if e in marks]
-
-    candidates = [tuple(x for u in order[:i] for x in lists(u, v)) for i, v in enumerate(order)]
+    candidates = [tuple(x for u in order[:i] for x in lists_with(p, u, v)) for i, v in enumerate(order)]
     barred = [tuple(u for u in order[:i] if induced and not p.adjacent(u, v)) for i, v in enumerate(order)]
+    if arrays is not None:
+        candidates[loops:] = arrays
     made: dict[tuple[Operand, ...], int] = {}
     for s in candidates:
         for q in range(2, len(s) + 1):
@@ -69,6 +76,7 @@ def loop_plan(c: Configuration, loops: int | None = None, restrictions=None, ind
                 tuple(sorted((x for x in here if x[0] == v), key=str)),
                 tuple(t for t, where in made.items() if where == i),
                 frozenset(s for s in needed if s and all(at[x[0]] <= i for x in s)),
+                tuple(x for x in sizes if x[0] == v),
             )
         )
     return out
@@ -78,9 +86,13 @@ def array_name(c: Configuration, operands: tuple[Operand, ...]) -> str:
     return "_".join(("l" if len(operands) == 1 else "t", *(f"{c.pattern.names[u]}{way}{mark or ''}" for u, way, mark in operands)))
 
 
+def size_name(c: Configuration, x: Operand) -> str:
+    return "d" + array_name(c, (x,))
+
+
 def lookup(graph: Graph, plan: list[Loop], c: Configuration) -> DataFrame:
     """The neighbour table with the lists this plan uses."""
-    kinds = tuple(sorted({(way, mark) for loop in plan for _, way, mark in loop.lists} or {("n", None)}, key=str))
+    kinds = tuple(sorted({(way, mark) for loop in plan for _, way, mark in (*loop.lists, *(x for x in loop.sizes if x[1:] != ("n", None)))} or {("n", None)}, key=str))
     return graph.adjacency(kinds)
 
 
@@ -100,6 +112,7 @@ def emit(graph: Graph, c: Configuration, plan: list[Loop], hint: str | None = No
     for loop in plan:
         v, name = loop.vertex, p.names[loop.vertex]
         got = [F.col(column_of(way, mark)).alias(array_name(c, ((v, way, mark),))) for _, way, mark in loop.lists]
+        got += [(F.col("deg") if x[1:] == ("n", None) else F.size(column_of(*x[1:]))).alias(size_name(c, x)) for x in loop.sizes]
         rows = table.where(F.col("deg") >= len(p.around[v]))
         if label[v] is not None:
             rows = rows.where(F.col("label") == label[v])
@@ -121,7 +134,7 @@ def emit(graph: Graph, c: Configuration, plan: list[Loop], hint: str | None = No
             df = df.where(ok)
             if got or label[v] is not None:
                 df = df.join(rows.hint(hint) if hint else rows, name)
-        bound.append(name)
+        bound += [name, *(size_name(c, x) for x in loop.sizes)]
         arrays |= {array_name(c, (x,)) for x in loop.lists}
         made = {array_name(c, t): F.array_intersect(array_name(c, t[:-1]), array_name(c, t[-1:])) for t in loop.temps}
         step: dict[str, Column] = {}
