@@ -1,5 +1,8 @@
 """The engine on small graphs: every configuration, method and executor against plain Python loops."""
 
+import random
+
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -135,6 +138,55 @@ def test_chunked_and_oriented(d1, spark):
     assert graph_ops.k_core(d1, 3).count() <= d1.edges.count()
 
 
+@pytest.fixture(scope="module")
+def hubs(spark):
+    """A power law: two vertices adjacent to nearly all, a few to many, the rest to few."""
+    rng = random.Random(4)
+    edges = {(0, v) for v in range(1, 900)} | {(1, v) for v in range(2, 700, 2)}
+    for v in range(2, 900):
+        edges |= {tuple(sorted((v, w))) for w in rng.sample(range(2, 900), max(1, 120 // v)) if w != v}
+    return graphs.from_edges(spark.createDataFrame(sorted(edges), "src long, dst long"), name="hubs"), sorted(edges)
+
+
+@pytest.mark.parametrize("name", ["wedge", "triangle", "rectangle", "diamond", "k4", "w1"])
+def test_spread_on_hubs(hubs, name, monkeypatch):
+    g, edges = hubs
+    p = named(name)
+    true = api.count(g, p, method="enumerate", executor="lists").first()["n"]
+    assert executor.spread_count(g, p, size=32).first()["n"] == true
+    if name in ("triangle", "k4"):
+        assert true == baselines.local_loops(edges, p)
+    monkeypatch.setattr(executor, "HUB_DEGREE", 100)
+    assert api.count(g, p).first()["n"] == true and api.match(g, p).count() == true
+
+
+def test_spread_keys_are_even(hubs):
+    """No row is long, and no key gathers a hub's prefixes."""
+    g, _ = hubs
+    chunks = g.chunks(32)
+    assert chunks.select(F.max(F.size("nbrs"))).first()[0] <= 64 and g.max_degree() == 899
+    per_key = chunks.where("id = 0").groupBy("chunk").count().select(F.min("count"), F.max("count")).first()
+    assert per_key[0] == per_key[1] == 6  # 29 chunks
+    met = executor.spread(g, planner.choose(named("wedge"), g.stats()), 32, loops=2).count()
+    assert met <= 2 * g.edges.count()
+
+
+def test_spread_on_a_bipartite_graph(spark):
+    d5 = graphs.graph(spark, SMALL, "d5")
+    for name in ("wedge", "rectangle", "diamond", "w1"):
+        assert executor.spread_count(d5, named(name), size=8).first()["n"] == api.count(d5, named(name), method="enumerate").first()["n"]
+
+
+def test_replicated_in_parts(random_graph, monkeypatch):
+    g, edges = random_graph
+    monkeypatch.setattr(executor, "PAIRS_AT_ONCE", 5)
+    csr = executor.to_csr(g)
+    for name in ("triangle", "rectangle", "w1"):
+        plan = compiler.loop_plan(planner.choose(named(name), g.stats()))
+        first = {plan[0].vertex: np.arange(len(csr.ids))}
+        assert executor.count_prefixes(csr, plan, first, 1) == baselines.local_loops(edges, named(name))
+
+
 def test_k_core_by_peeling(random_graph):
     g, edges = random_graph
     left = set(edges)

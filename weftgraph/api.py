@@ -8,6 +8,7 @@ from functools import reduce
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from .operators import executor as executors
 from .operators import iep
 from .plans import compiler, planner, symmetry
 from .plans.patterns import Pattern, clique, connected_shapes
@@ -29,27 +30,40 @@ def _configuration(g: Graph, p: Pattern, config: Configuration | None, distinct:
     return config if distinct else replace(config, restrictions=frozenset())
 
 
-def match(g: Graph, p: Pattern, config: Configuration | None = None, distinct: bool = True, induced: bool = False, hint: str | None = None, limit: int | None = None, seeds: F.Column | None = None) -> DataFrame:
+def match(g: Graph, p: Pattern, config: Configuration | None = None, distinct: bool = True, induced: bool = False, hint: str | None = None, limit: int | None = None, seeds: F.Column | None = None, executor: str = "auto") -> DataFrame:
     """One row per subgraph (or per mapping, if not ``distinct``), a column per pattern vertex.
 
-    induced: keep only those with no further edge among their vertices. hint: as in compiler.emit.
+    induced: keep only those with no further edge among their vertices. hint: as in compiler.emit. executor: "lists" carries
+    neighbour lists in rows, "spread" cuts them into chunks, "auto" takes the latter on a graph with hubs where it can.
     """
     c = _configuration(g, p, config, distinct)
+    if executor == "spread" or executor == "auto" and _may_spread(p, induced, seeds) and executors.has_hubs(g):
+        rows = executors.spread(g, c).select(*p.names)
+        return rows.limit(limit) if limit is not None else rows
     rows = compiler.emit(g, c, compiler.loop_plan(c, induced=induced), hint, seeds).select(*p.names)
     return rows.limit(limit) if limit is not None else rows
 
 
+def _may_spread(p: Pattern, induced: bool, seeds) -> bool:
+    return not (p.directed or p.vlabels or p.elabels or induced) and seeds is None
+
+
 def exists(g: Graph, p: Pattern) -> bool:
     return not match(g, p, limit=1).isEmpty()
 
 
-def count(g: Graph, p: Pattern, config: Configuration | None = None, method: str = "auto", induced: bool = False, distinct: bool = True, hint: str | None = None, wide: bool = False, form: str = "partitions", seed_batches: int = 1, name: str | None = None) -> DataFrame:
+def count(g: Graph, p: Pattern, config: Configuration | None = None, method: str = "auto", induced: bool = False, distinct: bool = True, hint: str | None = None, wide: bool = False, form: str = "partitions", seed_batches: int = 1, name: str | None = None, executor: str = "auto") -> DataFrame:
     """One row: pattern and n.
 
     method: "enumerate" runs all loops, the last one as the size of its candidates where it has no inequality;
     "iep" leaves the independent last loops to inclusion-exclusion; "auto" takes the latter where the model finds it no dearer.
     seed_batches: run that many jobs over hash classes of the first vertex, to bound what is in flight at once.
+    executor: as in match(), or "replicated"; both others than "lists" enumerate.
     """
+    if executor == "replicated":
+        return executors.replicated_count(g, p, config, name=name)
+    if executor == "spread" or executor == "auto" and method != "iep" and distinct and _may_spread(p, induced, None) and executors.has_hubs(g):
+        return executors.spread_count(g, p, config, name=name)
     if seed_batches > 1:
         total = None
         for b in range(seed_batches):

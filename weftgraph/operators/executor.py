@@ -1,8 +1,15 @@
-"""Other ways to run a plan: a replicated graph with prefix tasks, and neighbour lists too long for one row."""
+"""Other ways to run a plan: a replicated graph with prefix tasks, and neighbour lists too long for one row.
+
+``spread`` is for graphs with hubs. The list plans hold a vertex's neighbours in one row and look it up under its id, so a hub is
+one long row, met in one task by all prefixes that end in it. Here lists are cut into chunks, a prefix meets each
+chunk of its shortest list under (id, chunk, salt), and what it finds is checked against the edges by joins on pairs of ids,
+which no hub makes hot. No array is longer than a chunk, and none is carried.
+"""
 
 from __future__ import annotations
 
 from collections.abc import Iterator
+from functools import cached_property
 
 import numpy as np
 import pyarrow as pa
@@ -12,10 +19,14 @@ from pyspark.sql import functions as F
 from ..plans import compiler, planner
 from ..plans.patterns import Pattern
 from ..shipping import ship
-from ..sources.graphs import Graph, oriented
+from ..sources.graphs import Graph, chunk_count, oriented, salt_count
 
 #: The replicated graph may take this many bytes on the driver and on each executor.
 MAX_BROADCAST_BYTES = 256 << 20
+#: Neighbours in a row of the chunk table, and the degree from which on lists are not carried.
+CHUNK, HUB_DEGREE = 1024, 100_000
+#: List members that the replicated executor holds for its prefixes at once.
+PAIRS_AT_ONCE = 1 << 21
 
 
 class Csr:
@@ -24,13 +35,21 @@ class Csr:
     def __init__(self, ids: np.ndarray, offsets: np.ndarray, targets: np.ndarray):
         self.ids, self.offsets, self.targets = ids, offsets, targets
 
-    def near(self, v: int) -> np.ndarray:
-        return self.targets[self.offsets[v] : self.offsets[v + 1]]
+    @cached_property
+    def keys(self) -> np.ndarray:
+        """One sorted number a directed edge, to look pairs up."""
+        return np.repeat(np.arange(len(self.ids)), np.diff(self.offsets)) * len(self.ids) + self.targets
+
+    def adjacent(self, a: np.ndarray, b: np.ndarray) -> np.ndarray:
+        want = a * len(self.ids) + b
+        at = np.minimum(np.searchsorted(self.keys, want), max(0, len(self.keys) - 1))
+        return self.keys[at] == want if len(self.keys) else np.zeros(len(want), bool)
 
 
 def csr_bytes(g: Graph) -> int:
+    """Of the two arrays and the pair numbers; the driver takes some four times that while it sorts."""
     s = g.stats()
-    return 16 * s.n_vertices + 16 * s.n_edges
+    return 16 * s.n_vertices + 32 * s.n_edges
 
 
 def to_csr(g: Graph, limit: int = MAX_BROADCAST_BYTES) -> Csr:
@@ -45,38 +64,66 @@ def to_csr(g: Graph, limit: int = MAX_BROADCAST_BYTES) -> Csr:
     return Csr(ids, np.searchsorted(both[:, 0], np.arange(len(ids) + 1)), both[:, 1].copy())
 
 
-def count_prefix(csr: Csr, plan: list[compiler.Loop], row: dict[int, int], i: int, sets: dict) -> int:
-    """Run the loops from ``i`` on for one bound prefix; the last loop is counted, not run."""
+class Prefixes:
+    """Many bindings side by side: a column of vertex numbers per bound vertex, and per kept intersection its members
+    in one array with a row number for each."""
+
+    def __init__(self, csr: Csr, rows: dict[int, np.ndarray]):
+        self.csr, self.rows, self.sets = csr, rows, {}
+
+    def __len__(self) -> int:
+        return len(next(iter(self.rows.values())))
+
+    def neighbours(self, v: int) -> tuple[np.ndarray, np.ndarray]:
+        """(row, member) of the lists of the vertex bound to v, row by row and sorted."""
+        at = self.rows[v]
+        begins, sizes = self.csr.offsets[at], self.csr.offsets[at + 1] - self.csr.offsets[at]
+        row = np.repeat(np.arange(len(at)), sizes)
+        return row, self.csr.targets[np.arange(len(row)) - np.repeat(np.cumsum(sizes) - sizes, sizes) + np.repeat(begins, sizes)]
+
+    def members(self, operands) -> tuple[np.ndarray, np.ndarray]:
+        """(row, member) of an intersection of lists: those of the first that the others hold."""
+        if operands not in self.sets:
+            if len(operands) == 1:
+                self.sets[operands] = self.neighbours(operands[0][0])
+            else:
+                row, member = self.members(operands[:-1])
+                ok = self.csr.adjacent(self.rows[operands[-1][0]][row], member)
+                self.sets[operands] = row[ok], member[ok]
+        return self.sets[operands]
+
+    def candidates(self, loop: compiler.Loop) -> tuple[np.ndarray, np.ndarray]:
+        """(row, vertex) that the loop binds."""
+        row, found = self.members(loop.candidates)
+        ok = np.ones(len(row), bool)
+        for u in loop.above:
+            ok &= found < self.rows[u][row]
+        for u in loop.below:
+            ok &= found > self.rows[u][row]
+        for u in loop.apart:
+            ok &= found != self.rows[u][row]
+        return row[ok], found[ok]
+
+    def part(self, begin: int, end: int) -> Prefixes:
+        return Prefixes(self.csr, {v: x[begin:end] for v, x in self.rows.items()})
+
+
+def count_prefixes(csr: Csr, plan: list[compiler.Loop], rows: dict[int, np.ndarray], i: int) -> int:
+    """Run the loops from ``i`` on for all prefixes at once; the last is counted, not run.
+
+    Prefixes that would find more than PAIRS_AT_ONCE members are halved first, and what a loop binds goes on in parts.
+    """
+    here = Prefixes(csr, rows)
     loop = plan[i]
-    found = sets[loop.candidates]
-    for u in loop.above:
-        found = found[: np.searchsorted(found, row[u])]
-    for u in loop.below:
-        found = found[np.searchsorted(found, row[u], side="right") :]
-    for u in loop.apart:
-        k = np.searchsorted(found, row[u])
-        if k < len(found) and found[k] == row[u]:
-            found = np.delete(found, k)
+    first = rows[loop.candidates[0][0]]
+    work = np.cumsum(csr.offsets[first + 1] - csr.offsets[first])
+    if len(here) > 1 and work[-1] > PAIRS_AT_ONCE:
+        cut = int(np.clip(np.searchsorted(work, work[-1] // 2), 1, len(here) - 1))
+        return sum(count_prefixes(csr, plan, part.rows, i) for part in (here.part(0, cut), here.part(cut, len(here))))
+    row, found = here.candidates(loop)
     if i == len(plan) - 1:
         return len(found)
-    total = 0
-    for v in found.tolist():
-        row[loop.vertex] = v
-        total += count_prefix(csr, plan, row, i + 1, bind(csr, loop, v, sets))
-    row.pop(loop.vertex, None)
-    return total
-
-
-def bind(csr: Csr, loop: compiler.Loop, v: int, sets: dict) -> dict:
-    """The arrays at hand once the loop's vertex is v."""
-    if not loop.lists:
-        return sets
-    sets = dict(sets)
-    for x in loop.lists:
-        sets[(x,)] = csr.near(v)
-    for t in sorted(loop.temps, key=len):
-        sets[t] = np.intersect1d(sets[t[:-1]], sets[t[-1:]], assume_unique=True)
-    return sets
+    return count_prefixes(csr, plan, {v: x[row] for v, x in rows.items()} | {loop.vertex: found}, i + 1) if len(found) else 0
 
 
 def default_depth(p: Pattern) -> int:
@@ -93,7 +140,7 @@ def prefix_tasks(g: Graph, c: planner.Configuration, depth: int | None = None, p
 
 
 def replicated_count(g: Graph, p: Pattern, config: planner.Configuration | None = None, depth: int | None = None, partitions: int | None = None, name: str | None = None) -> DataFrame:
-    """Count with the graph replicated to every executor and one task per group of prefixes."""
+    """Count with the graph replicated to every executor and one task per group of prefixes, which run side by side in numpy."""
     if p.directed or p.vlabels:
         raise ValueError("the replicated executor runs undirected, unlabelled patterns")
     c = config or planner.choose(p, g.stats())
@@ -107,19 +154,57 @@ def replicated_count(g: Graph, p: Pattern, config: planner.Configuration | None
         csr = shared.value
         for b in batches:
             cols = [np.searchsorted(csr.ids, b.column(x).to_numpy()) for x in names]
-            total = 0
-            for values in zip(*(x.tolist() for x in cols), strict=True):
-                row, sets = {}, {}
-                for loop, v in zip(plan, values, strict=False):
-                    row[loop.vertex] = v
-                    sets = bind(csr, loop, v, sets)
-                total += count_prefix(csr, plan, row, depth, sets)
+            rows = {loop.vertex: x for loop, x in zip(plan, cols, strict=False)}
+            total = count_prefixes(csr, plan, rows, depth) if len(b) else 0
             yield pa.RecordBatch.from_arrays([pa.array([total], pa.int64())], ["n"])
 
     counted = prefix_tasks(g, c, depth, partitions).mapInArrow(run, "n long")
     return counted.agg(F.coalesce(F.sum("n"), F.lit(0)).alias("n")).select(F.lit(name or p.text()).alias("pattern"), "n")
 
 
+def spread(g: Graph, c: planner.Configuration, size: int = CHUNK, loops: int | None = None) -> DataFrame:
+    """A row per binding of the first ``loops`` vertices (all by default) of an undirected, unlabelled pattern."""
+    p = c.pattern
+    if p.directed or p.vlabels or p.elabels:
+        raise ValueError("the spread executor runs undirected, unlabelled patterns")
+    chunks, names = g.chunks(size), p.names
+    plan = compiler.loop_plan(c)[:loops]
+    first = names[plan[0].vertex]
+    df = g.degrees().where(F.col("deg") >= len(p.around[plan[0].vertex])).select(F.col("id").alias(first), F.col("deg").alias(f"d_{first}"))
+    for loop in plan[1:]:
+        name, near = names[loop.vertex], [names[x[0]] for x in loop.candidates]
+        bound = df.columns
+        shortest = F.least(*(F.struct(F.col(f"d_{u}").alias("deg"), F.col(u).alias("id")) for u in near)) if len(near) > 1 else F.struct(F.col(f"d_{near[0]}").alias("deg"), F.col(near[0]).alias("id"))
+        asks = df.select(*bound, shortest.alias("of")).select(*bound, F.col("of.id").alias("id"), F.col("of.deg").alias("deg"))
+        salt = F.pmod(F.xxhash64(*(names[x.vertex] for x in plan[: plan.index(loop)])), salt_count(F.col("deg"), size)).cast("int")
+        asks = asks.select(*bound, "id", salt.alias("salt"), F.explode(F.sequence(F.lit(0), chunk_count(F.col("deg"), size) - 1)).alias("chunk"))
+        found = asks.join(chunks.select("id", "chunk", "salt", "nbrs"), ["id", "chunk", "salt"]).select(*bound, "id", F.explode("nbrs").alias("x"))
+        df = found.select(*bound, "id", F.col("x.nbr").alias(name), F.col("x.nd").alias(f"d_{name}"))
+        ok = F.col(f"d_{name}") >= len(p.around[loop.vertex])
+        for u in loop.above:
+            ok &= F.col(name) < F.col(names[u])
+        for u in loop.below:
+            ok &= F.col(name) > F.col(names[u])
+        for u in loop.apart:
+            ok &= F.col(name) != F.col(names[u])
+        df = df.where(ok)
+        for u in near if len(near) > 1 else []:  # the list it came from holds it; the others are asked
+            pair = df.withColumns({"src": F.least(u, name), "dst": F.greatest(u, name)})
+            df = pair.join(g.edges.select("src", "dst"), ["src", "dst"], "left_semi").drop("src", "dst")
+        df = df.drop("id")
+    return df.select(*(names[x.vertex] for x in plan))
+
+
+def spread_count(g: Graph, p: Pattern, config: planner.Configuration | None = None, size: int = CHUNK, name: str | None = None) -> DataFrame:
+    c = config or planner.choose(p, g.stats())
+    return spread(g, c, size).agg(F.count(F.lit(1)).alias("n")).select(F.lit(name or p.text()).alias("pattern"), "n")
+
+
+def has_hubs(g: Graph) -> bool:
+    """Whether some list is too long to travel in rows."""
+    return g.max_degree() > HUB_DEGREE
+
+
 def chunked(g: Graph, size: int) -> DataFrame:
     """id, chunk, nbrs: neighbour lists cut into rows of at most ``size``, so that no hub is one huge row.
 

@@ -5,7 +5,7 @@ from __future__ import annotations
 from dataclasses import dataclass, field
 
 from pyspark import StorageLevel
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from ..functions.ids import dense_ids
@@ -25,6 +25,7 @@ class Graph:
     name: str = "graph"
     _tables: dict = field(default_factory=dict, repr=False)
     _stats: GraphStats | None = field(default=None, repr=False)
+    _max_degree: int | None = field(default=None, repr=False)
 
     @property
     def spark(self) -> SparkSession:
@@ -52,6 +53,36 @@ class Graph:
             self._tables[kinds] = table.persist(StorageLevel.MEMORY_AND_DISK)
         return self._tables[kinds]
 
+    def degrees(self) -> DataFrame:
+        """id, deg: counted from the edges, so that no list is gathered. Kept like adjacency()."""
+        if "degrees" not in self._tables:
+            both = self.edges.select(F.col("src").alias("id"), F.col("dst").alias("nbr")).unionByName(self.edges.select(F.col("dst").alias("id"), F.col("src").alias("nbr")))
+            if self.directed or "elabel" in self.edges.columns:  # a pair may have several edges
+                both = both.distinct()
+            self._tables["degrees"] = both.groupBy("id").agg(F.count(F.lit(1)).cast("int").alias("deg")).persist(StorageLevel.MEMORY_AND_DISK)
+        return self._tables["degrees"]
+
+    def max_degree(self) -> int:
+        if self._max_degree is None:
+            self._max_degree = self.degrees().agg(F.coalesce(F.max("deg"), F.lit(0))).first()[0]
+        return self._max_degree
+
+    def chunks(self, size: int) -> DataFrame:
+        """id, deg, chunk, salt, nbrs: neighbour lists in rows of about ``size`` (nbr, its degree), each row under several salts.
+
+        A list is dealt over its chunks by hash before it is gathered, so no task sees a whole hub. A vertex with c
+        chunks has about the square root of c salts, by which those who look it up spread over tasks.
+        """
+        if ("chunks", size) not in self._tables:
+            both = self.edges.select(F.col("src").alias("id"), F.col("dst").alias("nbr")).unionByName(self.edges.select(F.col("dst").alias("id"), F.col("src").alias("nbr"))).distinct()
+            deg = self.degrees()
+            ends = both.join(deg.select("id", "deg"), "id").join(deg.select(F.col("id").alias("nbr"), F.col("deg").alias("nd")), "nbr")
+            dealt = ends.withColumn("chunk", F.pmod(F.xxhash64("nbr"), chunk_count(F.col("deg"), size)).cast("int"))
+            rows = dealt.groupBy("id", "deg", "chunk").agg(F.collect_list(F.struct("nbr", "nd")).alias("nbrs"))
+            rows = rows.select("id", "deg", "chunk", F.explode(F.sequence(F.lit(0), salt_count(F.col("deg"), size) - 1)).alias("salt"), "nbrs")
+            self._tables["chunks", size] = rows.persist(StorageLevel.MEMORY_AND_DISK)
+        return self._tables["chunks", size]
+
     def stats(self) -> GraphStats:
         """Three counts in one row; computed once."""
         if self._stats is None:
@@ -61,7 +92,7 @@ class Graph:
 
     def stats_frame(self) -> DataFrame:
         """One row: n_vertices, n_edges, n_triangles."""
-        v = self.adjacency().agg(F.count(F.lit(1)).alias("n_vertices"))
+        v = self.degrees().agg(F.count(F.lit(1)).alias("n_vertices"))
         e = self.edges.agg(F.count(F.lit(1)).alias("n_edges"))
         return v.crossJoin(e).crossJoin(triangle_count(self))  # three single rows
 
@@ -71,6 +102,14 @@ class Graph:
         self._tables.clear()
 
 
+def chunk_count(deg: Column, size: int) -> Column:
+    return F.ceil(deg / F.lit(size)).cast("int")
+
+
+def salt_count(deg: Column, size: int) -> Column:
+    return F.ceil(F.sqrt(chunk_count(deg, size))).cast("int")
+
+
 def column_of(way: str, mark: str | None) -> str:
     return f"nbrs_{way}" + (f"_{mark}" if mark is not None else "")
 
@@ -102,7 +141,7 @@ def from_keys(df: DataFrame, src: str, dst: str, **more) -> tuple[Graph, DataFra
 
 def oriented(g: Graph) -> DataFrame:
     """Edges from the end with fewer neighbours to the other, ties by id: no vertex has many successors."""
-    deg = g.adjacency().select("id", "deg")
+    deg = g.degrees()
     e = g.edges.join(deg.select(F.col("id").alias("src"), F.col("deg").alias("ds")), "src").join(deg.select(F.col("id").alias("dst"), F.col("deg").alias("dd")), "dst")
     up = (F.col("ds") < F.col("dd")) | ((F.col("ds") == F.col("dd")) & (F.col("src") < F.col("dst")))
     return e.select(F.when(up, F.col("src")).otherwise(F.col("dst")).alias("a"), F.when(up, F.col("dst")).otherwise(F.col("src")).alias("b"))
@@ -111,7 +150,7 @@ def oriented(g: Graph) -> DataFrame:
 def triangle_count(g: Graph) -> DataFrame:
     """One row, n_triangles: successors that both ends of an oriented edge share."""
     up = oriented(g)
-    succ = up.groupBy("a").agg(F.collect_list("b").alias("s")).persist()
+    succ = up.groupBy("a").agg(F.collect_list("b").alias("s"))
     pairs = up.join(succ, "a").join(succ.select(F.col("a").alias("b"), F.col("s").alias("t")), "b")
     return pairs.agg(F.coalesce(F.sum(F.size(F.array_intersect("s", "t"))), F.lit(0)).cast("long").alias("n_triangles"))
 
