@@ -7,14 +7,15 @@ import time
 from collections.abc import Callable
 from dataclasses import dataclass
 from functools import cache
-from itertools import combinations, permutations, product
+from itertools import permutations, product
 from math import prod
 from statistics import mean
 
 from pyspark.sql import DataFrame
+from pyspark.sql import functions as F
 
 from . import api
-from .plans import cost_model, planner, schedules, symmetry
+from .plans import compiler, cost_model, planner, schedules, symmetry
 from .plans.patterns import Pattern
 from .plans.planner import Configuration
 from .sources.graphs import Graph
@@ -69,8 +70,8 @@ def speedup(base: list[float], ours: list[float]) -> tuple[float, float]:
 
 
 @cache
-def canonical(n: int, edges: tuple, rules: tuple) -> tuple:
-    """The least renumbering of a prefix, so that prefixes that look alike are counted once per graph."""
+def canonical(n: int, edges: tuple, rules: tuple) -> tuple[tuple, tuple[int, ...]]:
+    """The least renumbering of a prefix, so that prefixes that look alike are counted once per graph, and the new number of each vertex."""
     degree = [(sum(v in e for e in edges), sum(a == v for a, _ in rules), sum(b == v for _, b in rules)) for v in range(n)]
     kinds = sorted(set(degree))
     slots = [[i for i, d in enumerate(sorted(degree)) if d == k] for k in kinds]
@@ -79,44 +80,74 @@ def canonical(n: int, edges: tuple, rules: tuple) -> tuple:
     for parts in product(*(permutations(s) for s in slots)):
         new = {v: i for vs, part in zip(owners, parts, strict=True) for v, i in zip(vs, part, strict=True)}
         made = (n, tuple(sorted(tuple(sorted((new[a], new[b]))) for a, b in edges)), tuple(sorted((new[a], new[b]) for a, b in rules)))
-        best = made if best is None or made < best else best
+        if best is None or made < best[0]:
+            best = made, tuple(new[v] for v in range(n))
     return best
 
 
 class LoopWork:
-    """Rows entering each loop plus the lengths of both lists of every intersection; the executed twin of the cost.
+    """Rows of each loop plus the lengths of both lists of every intersection taken there, measured on the graph.
 
-    The rows of a loop are the bindings of its prefix, which is a smaller pattern with the prefix's inequalities.
-    Prefixes that differ only in order count the same and are counted once.
+    The rows of a loop are the bindings of its prefix, which is a smaller pattern with the prefix's inequalities, and an
+    intersection is taken once for each of them. Prefixes that differ only in order are measured once.
     """
 
     def __init__(self, g: Graph):
-        self.g, self.rows = g, g.__dict__.setdefault("_prefix_rows", {})
+        self.g, self.seen = g, g.__dict__.setdefault("_prefix_sums", {})
 
-    def prefix_rows(self, p: Pattern, vertices: frozenset, rules) -> int:
+    @staticmethod
+    def _key(p: Pattern, vertices, rules) -> tuple[tuple, dict[int, int]]:
         keep = sorted(vertices)
         at = {v: i for i, v in enumerate(keep)}
-        edges = [(at[a], at[b]) for a, b in p.edges if a in at and b in at]
-        own = [(at[a], at[b]) for a, b in rules if a in at and b in at]
-        key = canonical(len(keep), tuple(sorted(edges)), tuple(sorted(own)))
-        if key not in self.rows:
-            n, edges, own = key
-            if n == 1:
-                self.rows[key] = self.g.stats().n_vertices
+        edges = tuple(sorted(tuple(sorted((at[a], at[b]))) for a, b in p.edges if a in at and b in at))
+        key, new = canonical(len(keep), edges, tuple(sorted((at[a], at[b]) for a, b in rules if a in at and b in at)))
+        return key, {v: new[i] for v, i in at.items()}
+
+    @staticmethod
+    def _configuration(key: tuple) -> Configuration:
+        n, edges, rules = key
+        q = Pattern(tuple("ABCDEFGH"[:n]), edges)
+        return Configuration(q, schedules.connected_prefix(schedules.all_orders(q), q)[0], frozenset(rules))
+
+    def prefix_rows(self, p: Pattern, vertices: frozenset, rules) -> int:
+        key, _ = self._key(p, vertices, rules)
+        if key not in self.seen:
+            if key[0] == 1:
+                self.seen[key] = self.g.stats().n_vertices
             else:
-                q = Pattern(tuple("ABCDEFGH"[:n]), edges)
-                order = schedules.connected_prefix(schedules.all_orders(q), q)[0]
-                self.rows[key] = api.count(self.g, q, Configuration(q, order, frozenset(own)), method="enumerate").first()["n"]
-        return self.rows[key]
+                c = self._configuration(key)
+                self.seen[key] = api.count(self.g, c.pattern, c, method="enumerate").first()["n"]
+        return self.seen[key]
+
+    def list_lengths(self, p: Pattern, vertices: frozenset, rules, of: tuple[int, ...]) -> int:
+        """Summed over the prefix's bindings: how long the intersection of the neighbour lists of these vertices is."""
+        key, new = self._key(p, vertices, rules)
+        asked = tuple(sorted(new[v] for v in of))
+        if (key, asked) not in self.seen:
+            if key[0] == 1:
+                self.seen[key, asked] = 2 * self.g.stats().n_edges
+                return self.seen[key, asked]
+            c = self._configuration(key)
+            one = [(v, "n", None) for v in range(key[0])]  # all single lists in one run
+            arrays = (tuple(one[v] for v in c.order if v in asked),) if len(asked) > 1 else ()
+            plan = compiler.loop_plan(c, key[0], arrays=arrays, sizes=() if arrays else tuple(one))
+            rows = compiler.emit(self.g, c, plan)
+            total = lambda x: F.coalesce(F.sum(x.cast("long")), F.lit(0))
+            if arrays:
+                self.seen[key, asked] = rows.agg(total(F.size(compiler.array_name(c, arrays[0]))).alias("n")).first()["n"]
+            else:
+                sums = rows.agg(*(total(F.col(compiler.size_name(c, x))).alias(f"n{x[0]}") for x in one)).first()
+                self.seen |= {(key, (v,)): sums[f"n{v}"] for v in range(key[0])}
+        return self.seen[key, asked]
 
     def of(self, c: Configuration) -> int:
-        """Loop rows, weighted by one plus the expected length of the lists intersected there."""
-        rules = symmetry.closure(c.restrictions)
-        work = cost_model.intersect_costs(c.order, c.pattern, self.g.stats())
-        total = 0.0
-        for i in range(1, c.pattern.n + 1):
-            total += self.prefix_rows(c.pattern, frozenset(c.order[:i]), rules) * (1 + work[i - 1])
-        return round(total)
+        rules, temps = symmetry.closure(c.restrictions), cost_model.temporaries(c.order, c.pattern)
+        total = 0
+        for i in range(c.pattern.n):
+            prefix = frozenset(c.order[: i + 1])
+            total += self.prefix_rows(c.pattern, prefix, rules)
+            total += sum(self.list_lengths(c.pattern, prefix, rules, part) for t in temps[i] for part in (t[:-1], t[-1:]))
+        return total
 
 
 def rank_corr(xs: list[float], ys: list[float]) -> float:
@@ -176,24 +207,34 @@ def oracle(g: Graph, p: Pattern) -> Configuration:
     return min(configurations(g, p), key=lambda c: (meter.of(c), c.cost))
 
 
+def enumerated(g: Graph, c: Configuration, timeout: float | None = None) -> Timed:
+    return timed(g, lambda: api.count(g, c.pattern, c, method="enumerate"), timeout)
+
+
+def set_pairs(g: Graph, p: Pattern) -> list[tuple[Configuration, Configuration]]:
+    """Per order where they differ: (the single set, the set the model chooses)."""
+    single = symmetry.closure(symmetry.orbit_restrictions(p))
+    best = [planner.choose(p, g.stats(), schedule=o) for o in schedules.efficient(p)[0]]
+    return [(Configuration(p, c.order, single), c) for c in best if c.restrictions != single]
+
+
 def restriction_speedup(g: Graph, p: Pattern) -> tuple[float, float, int]:
     """Over orders where the model's set differs from the single set: mean and maximum gain in loop work, and how many."""
-    meter, single = LoopWork(g), symmetry.closure(symmetry.orbit_restrictions(p))
-    gains = []
-    for o in schedules.efficient(p)[0]:
-        best = planner.choose(p, g.stats(), schedule=o)
-        if best.restrictions != single:
-            gains.append(meter.of(Configuration(p, o, single)) / max(1, meter.of(best)))
-    return (mean(gains), max(gains), len(gains)) if gains else (1.0, 1.0, 0)
+    meter, pairs = LoopWork(g), set_pairs(g, p)
+    top, most = speedup([meter.of(a) for a, _ in pairs], [max(1, meter.of(b)) for _, b in pairs])
+    return (top, most, len(pairs)) if pairs else (1.0, 1.0, 0)
 
 
-def schedule_speedup(g: Graph, p: Pattern) -> float:
-    """With the single set for both: loop work of the order a random-graph estimate picks, against ours."""
-    meter, single = LoopWork(g), symmetry.closure(symmetry.orbit_restrictions(p))
-    s = g.stats()
+def schedule_pair(g: Graph, p: Pattern) -> tuple[Configuration, Configuration]:
+    """With the single set for both: the order a random-graph estimate picks, and ours."""
+    single, s = symmetry.closure(symmetry.orbit_restrictions(p)), g.stats()
     flat = cost_model.GraphStats(s.n_vertices, s.n_edges, int((2 * s.n_edges) ** 3 / max(1, s.n_vertices) ** 3 / 6))
-    other = planner.choose(p, flat, restrictions=single, phases=1)
-    ours = planner.choose(p, s, restrictions=single)
+    return planner.choose(p, flat, restrictions=single, phases=1), planner.choose(p, s, restrictions=single)
+
+
+def schedule_speedup(g: Graph, p: Pattern) -> float:
+    """Loop work of the first of schedule_pair() against the second."""
+    meter, (other, ours) = LoopWork(g), schedule_pair(g, p)
     return meter.of(other) / max(1, meter.of(ours))
 
 
@@ -218,10 +259,6 @@ def loop_rows(g: Graph, c: Configuration) -> list[tuple[str, int, float]]:
     return out
 
 
-def pattern_pairs(p: Pattern) -> int:
-    return len(list(combinations(range(p.n), 2)))
-
-
 def scale(g: Graph, p: Pattern, tasks: list[int]) -> list[tuple[int, float, float]]:
     """(tasks at once, seconds, speed-up over the first): the replicated executor with its prefixes in so many partitions."""
     from .operators import executor

@@ -27,10 +27,11 @@ def symmetric(g: Graph, a: str, b: str) -> DataFrame:
     return e if g.directed else e.unionByName(e.select(F.col(b).alias(a), F.col(a).alias(b)))
 
 
-def edge_join(g: Graph, p: Pattern, restrictions=frozenset(), order=None, checkpoint: bool = False) -> DataFrame:
+def edge_join(g: Graph, p: Pattern, restrictions=frozenset(), order=None, checkpoint: bool = False, each=None) -> DataFrame:
     """Bindings by joining one edge relation per pattern edge; all intermediate tuples are full rows.
 
-    checkpoint: write every intermediate relation, as an engine on persistent storage does.
+    checkpoint: write every intermediate relation, as an engine on persistent storage does. each: a condition on the
+    rows of each step, made from the bound vertices.
     """
     order = order or planner.choose(p, GraphStats(10_000, 60_000, 30_000)).order
     rules, df, bound = symmetry.closure(restrictions), None, []
@@ -55,6 +56,8 @@ def edge_join(g: Graph, p: Pattern, restrictions=frozenset(), order=None, checkp
                 ok &= F.col(p.names[u]) != F.col(name)
         df = df.where(ok)
         bound.append(v)
+        if each is not None and len(bound) > 1:
+            df = df.where(each(bound))
         if checkpoint and len(bound) > 1:
             df = df.checkpoint()
     return df
@@ -84,13 +87,20 @@ def loop_compiler(g: Graph, p: Pattern, name: str | None = None) -> DataFrame:
 def extension(g: Graph, p: Pattern, name: str | None = None) -> DataFrame:
     """Vertex-by-vertex extension of partial matches; a copy is dropped when a smaller image of it exists.
 
-    Each full row is kept only if it is the least of its images under the pattern's automorphisms.
+    The check is made at each step, on the partial match: of the automorphisms that move bound vertices only, none may
+    map it to a smaller one. A match that is least among all its images is least among those, which differ from it in
+    the bound vertices alone, so no whole match that is kept loses a part on the way.
     """
     order = schedules.efficient(p, 1)[0][0]
-    df = edge_join(g, p, order=order)
-    mine = F.array(*(F.col(x) for x in p.names))
-    images = F.array(*(F.array(*(F.col(p.names[a[v]]) for v in range(p.n))) for a in symmetry.automorphisms(p)))
-    return _named(df.where(mine == F.array_min(images)).agg(F.count(F.lit(1)).alias("n")), p, name)
+    group = symmetry.automorphisms(p)
+
+    def canonical(bound: list[int]) -> F.Column:
+        own = [a for a in group if all(a[v] == v for v in range(p.n) if v not in bound)]
+        listed = sorted(bound)
+        mine = F.array(*(F.col(p.names[v]) for v in listed))
+        return mine == F.array_min(F.array(*(F.array(*(F.col(p.names[a[v]]) for v in listed)) for a in own)))
+
+    return _named(edge_join(g, p, order=order, each=canonical).agg(F.count(F.lit(1)).alias("n")), p, name)
 
 
 def filter_process(g: Graph, p: Pattern, name: str | None = None) -> DataFrame:
@@ -234,7 +244,7 @@ def clique_dag(g: Graph, k: int, name: str | None = None) -> DataFrame:
     """k-cliques on the degree-oriented graph: successors intersected level by level, no inequality needed."""
     from ..sources.graphs import oriented
 
-    succ = oriented(g).groupBy("a").agg(F.sort_array(F.collect_list("b")).alias("s")).persist()
+    succ = oriented(g).groupBy("a").agg(F.sort_array(F.collect_list("b")).alias("s"))
     df = succ.select(F.explode("s").alias("v"), F.col("s").alias("c"))
     for level in range(k - 2):
         df = df.join(succ.select(F.col("a").alias("v"), "s"), "v").select(F.array_intersect("c", "s").alias("c"))

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+import math
 from itertools import combinations
 
 from pyspark.sql import Window
@@ -150,6 +151,9 @@ register(
 )
 register("replicated_w1_d1", lambda spark, sf: executor.replicated_count(graph(spark, sf, "d1"), named("w1"), name="w1"), ORACLES["count_w1_d1"])
 register("replicated_w2_d2", lambda spark, sf: executor.replicated_count(graph(spark, sf, "d2"), named("w2"), name="w2"), ORACLES["count_w2_d2"])
+for _n in ("wedge", "rectangle", "diamond", "w1"):
+    for _d in ("d1", "d5"):
+        register(f"spread_{_n}_{_d}", lambda spark, sf, n=_n, d=_d: executor.spread_count(graph(spark, sf, d), named(n), size=32, name=n), sql.count_sql(named(_n), EDGES_SQL[_d], _n))
 register("chunked_hubs_triangle_d5", lambda spark, sf: executor.chunked_triangles(graph(spark, sf, "d5"), 32), with_edges("d5", f"SELECT {TRIANGLES} AS n_triangles"))
 register("chunked_hubs_triangle_d1", lambda spark, sf: executor.chunked_triangles(graph(spark, sf, "d1"), 8), with_edges("d1", f"SELECT {TRIANGLES} AS n_triangles"))
 register("semi_join_triangles_d1", lambda spark, sf: baselines._named(baselines.edge_join(graph(spark, sf, "d1"), named("triangle"), symmetry.orbit_restrictions(named("triangle"))).agg(F.count(F.lit(1)).alias("n")), named("triangle"), "triangle"), ORACLES["count_triangle_d1"])
@@ -193,11 +197,15 @@ def _schedules(n):
 
 
 def _schedules_sql(p: Pattern) -> str:
-    k = schedules.efficient(p)[1]
+    """free is how many vertices at an order's end have no edge among them; the most over phase 1 is what phase 2 asks."""
     name = "CASE {} " + " ".join(f"WHEN {i} THEN '{x}'" for i, x in enumerate(p.names)) + " END"
     one = " AND ".join("(" + " OR ".join(_adjacent_sql(p, f"p{j}", f"p{i}") for j in range(i)) + ")" for i in range(1, p.n))
-    two = " AND ".join([f"NOT {_adjacent_sql(p, f'p{a}', f'p{b}')}" for a, b in combinations(range(p.n - k, p.n), 2)] or ["true"])
-    return f"SELECT sched, phase1, phase1 AND ind AS phase2 FROM (SELECT concat({', '.join(name.format(f'p{i}') for i in range(p.n))}) AS sched, {one} AS phase1, {two} AS ind FROM ({permutations_sql(p.n)}) t) u"
+    ends = [" AND ".join(f"NOT {_adjacent_sql(p, f'p{a}', f'p{b}')}" for a, b in combinations(range(p.n - k, p.n), 2)) for k in range(2, p.n + 1)]
+    free = "CASE " + " ".join(f"WHEN NOT ({e}) THEN {k}" for k, e in enumerate(ends, 1)) + f" ELSE {p.n} END"
+    return (
+        f"WITH o AS MATERIALIZED (SELECT concat({', '.join(name.format(f'p{i}') for i in range(p.n))}) AS sched, {one} AS phase1, {free} AS free FROM ({permutations_sql(p.n)}) t) "
+        "SELECT sched, phase1, phase1 AND free >= (SELECT max(free) FROM o WHERE phase1) AS phase2 FROM o"
+    )
 
 
 def _sets(n):
@@ -217,14 +225,42 @@ def _sets_sql(p: Pattern) -> str:
     return f"WITH perms AS MATERIALIZED ({table}) {rows}"
 
 
+def _closed_sets(n):
+    """All restriction sets of a pattern, with the inequalities they imply, that the program finds."""
+
+    def run(spark, sf):
+        p = named(n)
+        return spark.createDataFrame([(_text(p, s),) for s in planner.distinct_sets(p)], "restrictions string")
+
+    return run
+
+
+def _closed_sets_sql(p: Pattern) -> str:
+    """Every relation on the vertices that is closed and has no circle, if each order of ids has exactly one image under
+    the automorphisms that satisfies it. Nothing here comes from the program but the pattern's edges."""
+    pairs = [(a, b) for a in range(p.n) for b in range(p.n) if a != b]
+    bit = {x: f"(m >> {i}) & 1" for i, x in enumerate(pairs)}
+    closed = [f"NOT ({bit[a, b]} = 1 AND {bit[b, a]} = 1)" for a, b in combinations(range(p.n), 2)]
+    closed += [f"NOT ({bit[a, b]} = 1 AND {bit[b, c]} = 1 AND {bit[a, c]} = 0)" for a, b in pairs for c in range(p.n) if c not in (a, b)]
+    holds = " AND ".join(f"({bit[a, b]} = 0 OR r[g[{a + 1}] + 1] > r[g[{b + 1}] + 1])" for a, b in pairs)
+    text = f"concat_ws(' ', {', '.join(f"""CASE WHEN {bit[a, b]} = 1 THEN '{p.names[a]}>{p.names[b]}' END""" for a, b in pairs)})"
+    return (
+        f"WITH perms AS MATERIALIZED ({permutations_sql(p.n)}), ranks AS (SELECT [{', '.join(f'p{i}' for i in range(p.n))}] AS r FROM perms), "
+        f"autos AS (SELECT [{', '.join(f'p{i}' for i in range(p.n))}] AS g FROM perms WHERE {' AND '.join(_adjacent_sql(p, f'p{a}', f'p{b}') for a, b in p.edges)}), "
+        f"sets AS MATERIALIZED (SELECT m FROM range({1 << len(pairs)}) t(m) WHERE {' AND '.join(closed)}), "
+        f"kept AS (SELECT m, r, count(*) FILTER (WHERE {holds}) AS images FROM sets, ranks, autos GROUP BY m, r) "
+        f"SELECT {text} AS restrictions FROM (SELECT m FROM kept GROUP BY m HAVING min(images) = 1 AND max(images) = 1) t"
+    )
+
+
 def _on_complete_graph(spark, sf):
-    rows = [(n, _text(named(n), r), api.validate_on_complete_graph(spark, named(n), r)) for n in ("triangle", "rectangle", "w1") for r in symmetry.restriction_sets(named(n))[:2]]
+    rows = [(n, _text(named(n), r), api.validate_on_complete_graph(spark, named(n), r)) for n in ("triangle", "rectangle", "w1") for r in symmetry.restriction_sets(named(n))]
     return spark.createDataFrame(rows, "pattern string, restrictions string, valid boolean")
 
 
 register(
     "validate_on_complete_graph", _on_complete_graph,
-    " UNION ALL ".join(f"SELECT '{n}' AS pattern, restrictions, kept = expected AS valid FROM (SELECT * FROM ({kept_sql}) t WHERE restrictions IN ({', '.join(repr(_text(named(n), r)) for r in symmetry.restriction_sets(named(n))[:2])})) u" for n, kept_sql in ((n, _sets_sql(named(n))) for n in ("triangle", "rectangle", "w1"))),
+    " UNION ALL ".join(f"SELECT '{n}' AS pattern, restrictions, kept = expected AS valid FROM ({kept_sql}) u" for n, kept_sql in ((n, _sets_sql(named(n))) for n in ("triangle", "rectangle", "w1"))),
 )
 
 TYPICAL = cost_model.GraphStats(2000, 13_000, 6_400)
@@ -268,12 +304,34 @@ def _overcount_sql(p: Pattern) -> str:
     return f"SELECT copies::BIGINT AS copies, count(*) AS orders FROM (SELECT {tests} AS copies FROM ({permutations_sql(p.n)}) t) u GROUP BY copies"
 
 
+def _divisor_paper(n):
+    def run(spark, sf):
+        p = named(n)
+        return spark.createDataFrame([(planner.divisor_paper(p, _outer(p)), planner.divisor_exact(p, _outer(p)))], "printed long, exact long")
+
+    return run
+
+
+def _divisor_sql(p: Pattern) -> str:
+    """printed: automorphisms under which some order of ids and its image both satisfy the outer inequalities; exact: how
+    many images of an order do, where that is the same for all orders."""
+    own = " AND ".join([f"p{a} > p{b}" for a, b in sorted(_outer(p))] or ["true"])
+    tests = ["(" + " AND ".join([f"p{g[a]} > p{g[b]}" for a, b in sorted(_outer(p))] or ["true"]) + ")" for g in symmetry.automorphisms(p)]
+    printed = " + ".join(f"(count(*) FILTER (WHERE {own} AND {t}) > 0)::BIGINT" for t in tests)
+    times = " + ".join(f"{t}::BIGINT" for t in tests)
+    return f"WITH perms AS MATERIALIZED ({permutations_sql(p.n)}) SELECT {printed} AS printed, CASE WHEN min({times}) = max({times}) THEN min({times}) END AS exact FROM perms"
+
+
 PLANNED = [n for n in CATALOGUE if n not in ("edge", "k5")]
 for _n in PLANNED:
     _p = named(_n)
     register(f"autos_{_n}", _autos(_n), _autos_sql(_p))
     register(f"overcount_{_n}", _overcount(_n), _overcount_sql(_p))
     register(f"filter_probs_{_n}", _probs(_n), _probs_sql(_p))
+    if _p.n <= 6:
+        register(f"divisors_{_n}", _divisor_paper(_n), _divisor_sql(_p))
+    if _p.n <= 4:
+        register(f"closed_sets_{_n}", _closed_sets(_n), _closed_sets_sql(_p))
     if _p.n <= 6:
         register(f"schedules_{_n}", _schedules(_n), _schedules_sql(_p))
         register(f"validate_sets_{_n}", _sets(_n), _sets_sql(_p))
@@ -295,6 +353,40 @@ for _d in ("d1", "d2", "d3"):
         with_edges(_d, f"SELECT round(2 * m / (v * v), 9) AS p1, round(6 * t * v / (4 * m * m), 9) AS p2, round(2 * m / v, 9) AS card1, round(2 * m / v * (6 * t * v / (4 * m * m)), 9) AS card2, "
                    f"round(2 * m / v * power(6 * t * v / (4 * m * m), 2), 9) AS card3 FROM (SELECT (SELECT count(*) FROM deg)::DOUBLE AS v, (SELECT count(*) FROM e)::DOUBLE AS m, {TRIANGLES}::DOUBLE AS t) x"),
     )
+def _config_costs(n, d):
+    def run(spark, sf):
+        p, s = named(n), graph(spark, sf, d).stats()
+        rows = [("".join(p.names[v] for v in c.order), _text(p, c.restrictions), round(math.log(c.cost), 9)) for c in planner.rank(p, s)]
+        return spark.createDataFrame(rows, "sched string, restrictions string, log_cost double")
+
+    return run
+
+
+def _config_costs_sql(p: Pattern, d: str) -> str:
+    """The cost recursion written out for each configuration, over three counts of the edges and counts of orders."""
+    rows = []
+    for o in schedules.efficient(p)[0]:
+        near = [[u for u in o[:i] if p.adjacent(u, v)] for i, v in enumerate(o)]
+        done, work = set(), [[] for _ in o]
+        for own in near:  # an intersection is taken where its last list is bound, and once for all that start with it
+            for q in range(2, len(own) + 1):
+                if tuple(own[:q]) not in done:
+                    done.add(tuple(own[:q]))
+                    work[o.index(own[q - 1])].append(f"c{q - 1} + c1")
+        for s in planner.distinct_sets(p):
+            kept = lambda i, o=o, s=s: " AND ".join([f"p{a} > p{b}" for a, b in sorted(s) if {a, b} <= {*o[: i + 1]}] or ["true"])
+            share = [f"(SELECT (count(*) FILTER (WHERE {kept(i)}))::DOUBLE / count(*) FILTER (WHERE {kept(i - 1)}) FROM perms)" for i in range(p.n)]
+            total = f"c{len(near[-1])} * {share[-1]}"
+            for i in range(p.n - 2, -1, -1):
+                total = f"c{len(near[i])} * {share[i]} * ({' + '.join(work[i]) or '0'} + {total})"
+            rows.append(f"SELECT '{''.join(p.names[v] for v in o)}' AS sched, '{_text(p, s)}' AS restrictions, round(ln({total}), 9) AS log_cost FROM cards")
+    top = max(len(a) for a in p.around)
+    cards = ", ".join(f"2 * m / v * power(6 * t * v / (4 * m * m), {q - 1}) AS c{q}" for q in range(1, top + 1))
+    return with_edges(d, f", perms AS MATERIALIZED ({permutations_sql(p.n)}), cards AS MATERIALIZED (SELECT v AS c0, {cards} FROM (SELECT (SELECT count(*) FROM deg)::DOUBLE AS v, (SELECT count(*) FROM e)::DOUBLE AS m, {TRIANGLES}::DOUBLE AS t) x) " + " UNION ALL ".join(rows))
+
+
+for _n in ("rectangle", "diamond", "tailed", "w1"):
+    register(f"config_costs_{_n}_d1", _config_costs(_n, "d1"), _config_costs_sql(named(_n), "d1"))
 for _n in ("w1", "w2", "w4"):
     register(f"config_rank_{_n}_d1", lambda spark, sf, n=_n: api.explain(graph(spark, sf, "d1"), named(n)))
 
