@@ -128,11 +128,16 @@ def explain(g: Graph, p: Pattern, top: int = 20) -> DataFrame:
 def validate_on_complete_graph(spark, p: Pattern, restrictions) -> bool:
     """Count with and without the inequalities on the complete graph of as many vertices: the former must be the latter
     divided by the number of automorphisms."""
+    return valid_on_complete_graph(spark, p, [restrictions])[0]
+
+
+def valid_on_complete_graph(spark, p: Pattern, sets) -> list[bool]:
+    """The same for many sets: one plan, a row each."""
     from .sources.graphs import from_edges
 
     ids = spark.range(p.n)
     g = from_edges(ids.select(F.col("id").alias("src")).crossJoin(ids.select(F.col("id").alias("dst"))).where("src < dst"))
-    order = tuple(range(p.n))
-    kept = count(g, p, Configuration(p, order, frozenset(restrictions)), method="enumerate").first()["n"]
-    every = count(g, p, Configuration(p, order, frozenset()), method="enumerate", distinct=False).first()["n"]
-    return kept * len(symmetry.automorphisms(p)) == every
+    found = match(g, p, Configuration(p, tuple(range(p.n)), frozenset()), distinct=False, executor="lists")
+    tests = [reduce(lambda a, b: a & b, [F.col(p.names[a]) > F.col(p.names[b]) for a, b in s], F.lit(True)) for s in sets]
+    every, *kept = found.agg(F.count(F.lit(1)), *(F.count_if(t) for t in tests)).first()
+    return [n * len(symmetry.automorphisms(p)) == every for n in kept]

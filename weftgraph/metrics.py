@@ -35,16 +35,18 @@ def timed(g: Graph, run: Callable[[], DataFrame], timeout: float | None = None)
     sc = g.spark.sparkContext
     tag = f"timed-{time.monotonic_ns()}"
     g.spark.addTag(tag)
-    stopped = threading.Event()
+    ended, stopped = threading.Event(), threading.Event()
 
     def stop() -> None:
-        stopped.set()
-        g.spark.interruptTag(tag)
-        sc.cancelJobsWithTag(tag)
-
-    timer = threading.Timer(timeout, stop) if timeout else None
-    if timer:
-        timer.start()
+        if not ended.wait(timeout):
+            stopped.set()
+            while not ended.is_set():  # again and again: between two jobs of a query there is nothing to cancel
+                sc.cancelJobsWithTag(tag)
+                g.spark.interruptTag(tag)
+                ended.wait(0.3)
+
+    if timeout:
+        threading.Thread(target=stop, daemon=True).start()
     began = time.perf_counter()
     try:
         value = run().first()["n"]
@@ -53,8 +55,7 @@ def timed(g: Graph, run: Callable[[], DataFrame], timeout: float | None = None)
         text = str(e)
         return Timed(None, time.perf_counter() - began, "timeout" if stopped.is_set() else "oom" if "OutOfMemory" in text else "error")
     finally:
-        if timer:
-            timer.cancel()
+        ended.set()
         g.spark.removeTag(tag)
 
 

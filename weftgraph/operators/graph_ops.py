@@ -2,19 +2,12 @@
 
 from __future__ import annotations
 
-import tempfile
 
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..sources.graphs import Graph, oriented
-
-
-def ensure_checkpoint_dir(spark) -> None:
-    """The cluster's shared folder; one of our own only where the session names none."""
-    sc = spark.sparkContext
-    if sc.getCheckpointDir() is None:
-        sc.setCheckpointDir(sc.getConf().get("spark.checkpoint.dir") or tempfile.mkdtemp(prefix="checkpoints-"))
+from ..sources.io import ensure_checkpoint_dir
 
 
 def common_neighbours(g: Graph) -> DataFrame:

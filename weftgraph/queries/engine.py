@@ -254,7 +254,10 @@ def _closed_sets_sql(p: Pattern) -> str:
 
 
 def _on_complete_graph(spark, sf):
-    rows = [(n, _text(named(n), r), api.validate_on_complete_graph(spark, named(n), r)) for n in ("triangle", "rectangle", "w1") for r in symmetry.restriction_sets(named(n))]
+    rows = []
+    for n in ("triangle", "rectangle", "w1"):
+        sets = symmetry.restriction_sets(named(n))
+        rows += [(n, _text(named(n), s), ok) for s, ok in zip(sets, api.valid_on_complete_graph(spark, named(n), sets), strict=True)]
     return spark.createDataFrame(rows, "pattern string, restrictions string, valid boolean")
 
 
