@@ -48,6 +48,20 @@ def test_triangles_come_and_go(spark):
     assert counter.done[last] <= again[last]
 
 
+def test_triangles_after_a_restart(spark, tmp_path):
+    """A new counter over the same folder goes on from the last total, and writes nothing anew."""
+    path = str(tmp_path / "triangles")
+    make = lambda rows: spark.createDataFrame(rows, "src long, dst long, change int")
+    st.TriangleCounter(spark, path)(make([(1, 2, 1), (2, 3, 1), (1, 3, 1), (3, 4, 1)]), 0)
+    before = {p: p.stat().st_mtime_ns for p in (tmp_path / "triangles" / "log" / "batch=0").iterdir()}
+    again = st.TriangleCounter(spark, path)
+    assert again.total == 1
+    again(make([(2, 4, 1), (1, 4, 1)]), 1)
+    assert again.total == 4 and {p: p.stat().st_mtime_ns for p in before} == before
+    again(make([(1, 2, -1)]), 2)
+    assert st.TriangleCounter(spark, path).total == 2
+
+
 def test_late_rows_are_dropped(spark):
     base = pd.Timestamp("2024-01-01", tz="UTC")
     data = [(i, (base + pd.Timedelta(hours=i)).to_pydatetime(), 1, "x") for i in range(30)]

@@ -108,51 +108,65 @@ def degree_state(edges: DataFrame) -> DataFrame:
 class TriangleCounter:
     """Triangle count of a growing and shrinking graph, kept up batch by batch.
 
-    A batch's net new edges are added to the stored edges. Triangles gained are those of the new graph with at least
-    one new edge, counted by how many of their edges are new; triangles lost likewise on the old graph with removed
-    edges. The edge table is written anew each batch under the batch's number, so that a repeated batch starts from
-    the same state and gives the same result.
+    The state is a log: each batch adds a folder of the edges that came and went, under the batch's number, and its total.
+    Nothing written before is written again, and a repeated or restarted batch starts from the last total before
+    it. Triangles gained are those of the new graph with at least one new edge, counted by how many of their edges
+    are new; triangles lost likewise on the old graph with removed edges. Only edges at a changed edge's ends are joined.
     """
 
+    LOG, TOTAL = "src long, dst long, sign int, batch int", "n long, batch int"
+
     def __init__(self, spark: SparkSession, path: str | None = None):
         self.spark, self.path = spark, path or scratch(spark, "triangles")
-        self.done: dict[int, int] = {-1: 0}
+        self._write(spark.createDataFrame([], "src long, dst long, sign int"), "log", -1, "ignore")
+        self._write(spark.createDataFrame([(0,)], "n long"), "total", -1, "ignore")
+
+    def _write(self, rows: DataFrame, kind: str, batch: int, mode: str = "overwrite") -> None:
+        rows.write.mode(mode).parquet(f"{self.path}/{kind}/batch={batch}")
 
     def edges(self, batch: int) -> DataFrame:
-        return self.spark.createDataFrame([], "src long, dst long") if batch < 0 else self.spark.read.parquet(f"{self.path}/{batch}")
+        """The edges there are after a batch."""
+        log = self.spark.read.schema(self.LOG).parquet(f"{self.path}/log").where(F.col("batch") <= batch)
+        return log.groupBy("src", "dst").agg(F.sum("sign").alias("c")).where("c > 0").select("src", "dst")
+
+    @property
+    def done(self) -> dict[int, int]:
+        """The total after each batch; as many rows as batches."""
+        return {r["batch"]: r["n"] for r in self.spark.read.schema(self.TOTAL).parquet(f"{self.path}/total").collect()}
 
     @staticmethod
     def touching(edges: DataFrame, part: DataFrame) -> int:
         """Triangles of ``edges`` with an edge in ``part``, a subset of them."""
+        ends = part.select(F.explode(F.array("src", "dst")).alias("a")).distinct()
         marked = edges.join(part.withColumn("new", F.lit(1)), ["src", "dst"], "left").select("src", "dst", F.coalesce("new", F.lit(0)).alias("new"))
-        both = marked.unionByName(marked.select(F.col("dst").alias("src"), F.col("src").alias("dst"), "new"))
+        both = marked.select(F.col("src").alias("a"), F.col("dst").alias("c"), "new").unionByName(marked.select(F.col("dst").alias("a"), F.col("src").alias("c"), "new")).join(ends, "a", "left_semi")
         x = part.select(F.col("src").alias("a"), F.col("dst").alias("b"))
-        y = both.select(F.col("src").alias("a"), F.col("dst").alias("c"), F.col("new").alias("n1"))
-        z = both.select(F.col("src").alias("b"), F.col("dst").alias("c"), F.col("new").alias("n2"))
+        y, z = both.withColumnRenamed("new", "n1"), both.select(F.col("a").alias("b"), "c", F.col("new").alias("n2"))
         found = x.join(y, "a").join(z, ["b", "c"]).groupBy((F.col("n1") + F.col("n2") + 1).alias("k")).agg(F.count(F.lit(1)).alias("n")).collect()  # three rows
         return sum(r["n"] // r["k"] for r in found)
 
     def __call__(self, batch: DataFrame, number: int) -> None:
-        last = max(k for k in self.done if k < number)
+        before = {k: n for k, n in self.done.items() if k < number}
+        last = max(before)
         old = self.edges(last)
         changes = batch.select(F.least("src", "dst").alias("src"), F.greatest("src", "dst").alias("dst"), "change").where("src <> dst").groupBy("src", "dst").agg(F.sum("change").alias("c"))
-        more = changes.where("c > 0").select("src", "dst").join(old, ["src", "dst"], "left_anti")
-        less = changes.where("c < 0").select("src", "dst").join(old, ["src", "dst"], "left_semi")
-        new = old.join(less, ["src", "dst"], "left_anti").unionByName(more)
-        new.write.mode("overwrite").parquet(f"{self.path}/{number}")
-        now = self.edges(number)
-        gained = self.touching(now, now.join(old, ["src", "dst"], "left_anti"))
-        lost = self.touching(old, old.join(now, ["src", "dst"], "left_anti"))
-        self.done[number] = self.done[last] + gained - lost
+        more = changes.where("c > 0").select("src", "dst").join(old, ["src", "dst"], "left_anti").withColumn("sign", F.lit(1))
+        less = changes.where("c < 0").select("src", "dst").join(old, ["src", "dst"], "left_semi").withColumn("sign", F.lit(-1))
+        self._write(more.unionByName(less), "log", number)
+        own = self.spark.read.schema("src long, dst long, sign int").parquet(f"{self.path}/log/batch={number}")
+        gained = self.touching(self.edges(number), own.where("sign = 1").select("src", "dst"))
+        lost = self.touching(old, own.where("sign = -1").select("src", "dst"))
+        self._write(self.spark.createDataFrame([(before[last] + gained - lost,)], "n long"), "total", number)
 
     @property
     def total(self) -> int:
-        return self.done[max(self.done)]
+        found = self.done
+        return found[max(found)]
 
 
-def incremental_triangles(edge_changes: DataFrame, checkpoint: str | None = None) -> TriangleCounter:
-    """Run the counter over a stream of src, dst, change."""
-    counter = TriangleCounter(edge_changes.sparkSession)
+def incremental_triangles(edge_changes: DataFrame, checkpoint: str | None = None, path: str | None = None) -> TriangleCounter:
+    """Run the counter over a stream of src, dst, change; with the same ``checkpoint`` and ``path`` it goes on where it was."""
+    counter = TriangleCounter(edge_changes.sparkSession, path)
     finish_batches(edge_changes, counter, checkpoint=checkpoint)
     return counter
 
