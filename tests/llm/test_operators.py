@@ -482,6 +482,65 @@ def test_packing(spark):
     same = out[out["doc_id"].isin([6, 7])]
     assert same["bin_id"].nunique() == 3
     assert packing.best_fit(frame(spark, [])).count() == 0
+    near = frame(spark, [(1, "a b"), (2, "c d"), (3, "e f")]).withColumn("group", F.when(F.col("doc_id") < 3, 1).otherwise(2)).withColumn("source", F.lit("s"))
+    bins = {r["doc_id"]: r["bin_id"] for r in packing.best_fit(near, capacity=100, cluster="group").collect()}
+    assert bins[1] != bins[2] and bins[3] in (bins[1], bins[2])
+
+
+def test_trees_against_a_walk():
+    """Flattened trees, all rows at once, against one row and one node at a time."""
+    rng = np.random.default_rng(8)
+    x = rng.normal(size=(400, 5)).astype(np.float32).astype(np.float64)
+    model = quality.fit(x, (x[:, 0] + x[:, 1] * x[:, 2] > 0).astype(float), trees=12, depth=3)
+
+    def walk(row):
+        total = model.base
+        for feature, threshold, value in zip(model.feature, model.threshold, model.value, strict=True):
+            node = 0
+            while node < len(feature):
+                node = 2 * node + (1 if row[feature[node]] <= threshold[node] else 2)
+            total += value[node - len(feature)]
+        return total
+
+    x = np.vstack((x, model.threshold[:, :1].repeat(5, axis=1)))  # values on a threshold too
+    assert np.allclose(model.raw(x), [walk(r) for r in x])
+
+
+def test_statistics_one_by_one():
+    """Each document statistic, counted plainly."""
+    texts = ["", " \n ", "One two two.\nThree!\n\nTwo two", "é漢字 #1 | a|b\tLOUD", "x" * 50 + "\r\n" + "a b c " * 30]
+    for t, got in zip(texts, quality.statistics([t.encode() for t in texts]), strict=True):
+        b = t.encode()
+        words, lines = b.split(), [x for x in b.split(b"\n") if x]
+        n, m = max(1, len(words)), max(1, len(lines))
+        want = [np.log1p(len(b)), np.log1p(len(words)), sum(map(len, words)) / n, len(words) / m]
+        want += [sum(c in chars for c in b) / max(1, len(b)) for chars in quality.CLASSES.values()]
+        want += [len(set(words)) / n, len(set(lines)) / m, max((words.count(w) for w in words), default=0) / n, sum(len(w) <= 3 for w in words) / n, sum(len(w) >= 16 for w in words) / n]
+        want += [sum(x.endswith((b".", b"?", b"!", b":", b";")) for x in lines) / m, max(map(len, lines), default=0) / max(1, len(b))]
+        assert np.allclose(got, want, atol=1e-6)
+
+
+def test_language_of_whole_texts_against_enumeration():
+    """A text's language and score from all label paths of all its words, scored feature by feature."""
+    from itertools import product
+
+    rnd = random.Random(3)
+    make = lambda syllables, n: " ".join("".join(rnd.choices(syllables, k=2)) for _ in range(n))
+    model = langid.fit([make(["tha", "ing"], 20) for _ in range(20)] + [make(["sch", "ung"], 20) for _ in range(20)], ["x"] * 20 + ["y"] * 20)
+    texts = [make(["tha", "ing"], 3) + " 12 " + make(["sch", "ung"], 4), "Thaing", "99 !", make(["sch", "ung"], 6), None, ""]
+    for text, lang, score in zip(texts, *langid.Labeller(model).texts(texts), strict=True):
+        words = (text or "").lower().split()
+        if not any(c.isalpha() for w in words for c in w):
+            assert (lang, score) == ("und", 0.0)
+            continue
+        emit = [model.emissions([w.encode()])[0] if any(map(str.isalpha, w)) else np.zeros(2) for w in words]
+        total = np.zeros((len(words), 2))
+        for path in product(range(2), repeat=len(words)):
+            weight = np.exp(model.start[path[0]] + sum(emit[i][k] for i, k in enumerate(path)) + sum(model.transition[a, b] for a, b in zip(path, path[1:], strict=False)))
+            for i, k in enumerate(path):
+                total[i, k] += weight
+        mean = (total / total.sum(axis=1, keepdims=True)).mean(axis=0)
+        assert lang == model.languages[int(mean.argmax())] and abs(score - mean.max()) < 1e-5
 
 
 @pytest.mark.parametrize("name", sorted(ORACLES))

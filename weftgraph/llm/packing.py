@@ -57,10 +57,13 @@ def pack(sizes, sources, clusters, capacity: int, quota: int = 2) -> tuple[list[
     return bins, offsets
 
 
-def best_fit(df: DataFrame, capacity: int = 2048, quota: int = 2, block_rows: int = 4096, id_column: str = "doc_id", text: str = "text", source: str = "source") -> DataFrame:
-    """One row per piece: id, piece, n_words, bin_id, start (where in the bin), capacity."""
+def best_fit(df: DataFrame, capacity: int = 2048, quota: int = 2, block_rows: int = 4096, id_column: str = "doc_id", text: str = "text", source: str = "source", cluster: str | None = None) -> DataFrame:
+    """One row per piece: id, piece, n_words, bin_id, start (where in the bin), capacity.
+
+    cluster: column of duplicate clusters, such as near-duplicate components; equal texts are clusters if not given.
+    """
     words = F.regexp_count(F.coalesce(F.col(text).cast("string"), F.lit("")), F.lit("[^\\x20\\x09-\\x0D]+")).cast("long")
-    rows = df.select(F.col(id_column).alias("_id"), F.col(source).cast("string").alias("_source"), F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))).alias("_cluster"), words.alias("_words"))
+    rows = df.select(F.col(id_column).alias("_id"), F.col(source).cast("string").alias("_source"), (F.xxhash64(F.coalesce(F.col(text).cast("string"), F.lit(""))) if cluster is None else F.xxhash64(F.col(cluster).cast("string"))).alias("_cluster"), words.alias("_words"))
     full = (F.col("_words") / capacity).cast("long")
     pieces = rows.select("*", F.explode(F.sequence(F.lit(0), F.when(F.col("_words") == 0, 0).otherwise(F.ceil(F.col("_words") / capacity) - 1).cast("int"))).alias("_piece"))
     pieces = pieces.withColumn("_size", F.when(F.col("_piece") < full, F.lit(capacity)).otherwise(F.col("_words") - full * capacity).cast("int"))
@@ -71,7 +74,7 @@ def best_fit(df: DataFrame, capacity: int = 2048, quota: int = 2, block_rows: in
     kind = rows.schema["_id"].dataType.simpleString()
 
     def run(pdf: pd.DataFrame) -> pd.DataFrame:
-        pdf = pdf.iloc[np.lexsort((pdf["_cluster"], pdf["_id"].fillna(-1), -pdf["_size"]))]
+        pdf = pdf.iloc[np.lexsort((pdf["_cluster"], pdf["_id"].fillna(-1), pdf["_id"].isna(), -pdf["_size"]))]
         bins, offsets = pack(pdf["_size"].tolist(), pdf["_source"].tolist(), pdf["_cluster"].tolist(), capacity, quota)
         block = pdf["_block"].iloc[0]
         return pd.DataFrame({"_id": pdf["_id"].to_numpy(), "_piece": pdf["_piece"].to_numpy(), "_size": pdf["_size"].to_numpy(), "bin_id": [f"b{block}-{b}" for b in bins], "start": offsets})
