@@ -97,9 +97,11 @@ class Graph:
         return v.crossJoin(e).crossJoin(triangle_count(self))  # three single rows
 
     def unpersist(self) -> None:
+        """Release everything that is kept, the edges too; what is used again is made again."""
         for t in self._tables.values():
             t.unpersist()
         self._tables.clear()
+        self.edges.unpersist()
 
 
 def chunk_count(deg: Column, size: int) -> Column:
@@ -302,6 +304,12 @@ def graph(spark: SparkSession, sf_dir: str, name: str) -> Graph:
     return _built[key]
 
 
+def release(spark: SparkSession) -> None:
+    """Forget and unpersist all graphs built in this application."""
+    for key in [k for k in _built if k[0] == spark.sparkContext.applicationId]:
+        _built.pop(key).unpersist()
+
+
 def _pairs_sql(rows: str, key: str) -> str:
     on = " AND ".join(f"a.{k} = b.{k}" for k in key.split(", "))
     return f"WITH r AS (SELECT DISTINCT {key}, v FROM ({rows}) t) SELECT DISTINCT a.v AS src, b.v AS dst FROM r a JOIN r b ON {on} WHERE a.v < b.v"
