@@ -3,12 +3,14 @@
 A text is the set of its word shingles. Pairs are proposed by the positional-byte index over SimHash fingerprints of the
 shingles, and, since that index reaches two bits and a pair at similarity 0.8 differs in ten of 64 bits on the mean, by bands of a
 MinHash signature too: two texts are compared if a band agrees. A pair at similarity s meets in no band with
-probability (1 - s ** ROWS) ** BANDS: 5e-8 at 0.8, less above. Each proposed pair is compared on both whole sets, so no pair
+probability (1 - s ** ROWS) ** BANDS: 5e-7 at 0.8, less above. Each proposed pair is compared on both whole sets, so no pair
 below the threshold is linked.
 
-Texts with equal sets are one node. In a band list longer than ``list_limit`` members are first compared with one of
-the list, again after each round with one of another component; only what is still in different components is then
-compared pair by pair. Members of one component need no further link, so nothing is lost.
+Texts with equal sets are one node. In a list of nodes that agree in a band each is compared with one of the list only,
+again after each round with one of another component: what is compared grows with the nodes. Members of one component need
+no further link. A node left in a list with another component can be similar to one of them only if at least that share of its
+shingles stands in some other node that is left, so nodes with too many shingles of their own drop out, which is what
+copies with changes of their own are; the rest is compared pair by pair. Nothing is lost by any of this.
 """
 
 from __future__ import annotations
@@ -17,14 +19,14 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from .common import WordHashes, arrow_map, cut, mix64, slices, text_blobs, with_fields
 from .graphs import components
 from .simhash import links
 
-WORDS, BANDS, ROWS, STAR_ROUNDS = 5, 32, 4, 3
+WORDS, BANDS, ROWS, STAR_ROUNDS = 5, 48, 6, 3
 #: Odd multipliers and masks of the signature's hash functions, and the multipliers of a shingle's words.
 _RANDOM = np.random.default_rng(42).integers(0, 1 << 64, (3, BANDS * ROWS), np.uint64)
 _TIMES, _MASKS, _PLACES = _RANDOM[0] | np.uint64(1), _RANDOM[1], _RANDOM[2] | np.uint64(1)
@@ -109,10 +111,10 @@ def _similar(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
 
 
 def _pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs in one list and in different components whose sizes allow the similarity."""
-    a, b = (members.select("posting", F.col("key").alias(k), F.col("n").alias(f"n{k}"), F.col("component").alias(f"c{k}")) for k in "ab")
-    near = (F.col("na") * 100 >= F.col("nb") * percent) & (F.col("nb") * 100 >= F.col("na") * percent)
-    return a.join(b, "posting").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & near).select("a", "b").distinct()
+    """Distinct pairs in one list and in different components whose sizes, and numbers of shingles that others have, allow the similarity."""
+    a, b = (members.select("posting", F.col("key").alias(k), F.col("n").alias(f"n{k}"), F.col("component").alias(f"c{k}"), F.col("common").alias(f"s{k}")) for k in "ab")
+    able = F.least("sa", "sb") * (100 + percent) >= (F.col("na") + F.col("nb")) * percent  # no more than these can be shared
+    return a.join(b, "posting").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _near_size("na", "nb", percent) & able).select("a", "b").distinct()
 
 
 def _proposed(nodes: DataFrame) -> DataFrame:
@@ -124,40 +126,68 @@ def _proposed(nodes: DataFrame) -> DataFrame:
     return equal.unionByName(near.select(F.least("x", "y").alias("a"), F.greatest("x", "y").alias("b")))
 
 
-def _stars(members: DataFrame, tested: DataFrame | None) -> DataFrame:
+def _near_size(a: str, b: str, percent: int) -> Column:
+    return (F.col(a) * 100 >= F.col(b) * percent) & (F.col(b) * 100 >= F.col(a) * percent)
+
+
+def _mixed(members: DataFrame) -> DataFrame:
+    """The lists that hold two components or more: posting, lead (the member with the smallest component)."""
+    lists = members.groupBy("posting").agg(F.min(F.struct("component", "key", "n")).alias("lead"), F.max("component").alias("most"))
+    return lists.where("lead.component < most").select("posting", "lead")
+
+
+def _stars(members: DataFrame, tested: DataFrame | None, percent: int) -> DataFrame:
     """For each member one pair with the leader of a list whose component is another."""
-    lead = members.groupBy("posting").agg(F.min(F.struct("component", "key")).alias("lead"), F.max("component").alias("most")).where("lead.component < most")
-    found = members.join(lead, "posting").where("component != lead.component").select(F.col("lead.key").alias("a"), F.col("key").alias("b"))
+    found = members.join(_mixed(members), "posting").where("component != lead.component")
+    found = found.select(F.col("lead.key").alias("a"), F.col("key").alias("b"), F.col("lead.n").alias("na"), F.col("n").alias("nb")).where(_near_size("na", "nb", percent)).select("a", "b")
     if tested is not None:
-        found = found.join(tested, ["a", "b"], "left_anti")
+        found = found.distinct().join(tested, ["a", "b"], "left_anti")
     return found.groupBy("b").agg(F.min("a").alias("a")).select("a", "b")
 
 
-def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", percent: int = 80, words: int = WORDS, list_limit: int = 16) -> DataFrame:
-    """``id_column`` and ``component_id``, the smallest id among all rows that near copies lead to."""
+def _rest(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """Members of lists with several components, and ``common``, how many of their shingles some other of them has; without
+    those that have too few of these."""
+    left = cut(members.join(_mixed(members).select("posting"), "posting", "left_semi"))
+    keys = left.select("key").distinct()
+    every = sets.join(keys, "key", "left_semi").select("key", F.explode("shingles").alias("shingle"))
+    alone = every.groupBy("shingle").agg(F.min("key").alias("key"), F.count(F.lit(1)).alias("held")).where("held = 1").groupBy("key").agg(F.count(F.lit(1)).alias("own"))
+    able = left.join(alone, "key", "left").withColumn("common", F.col("n") - F.coalesce("own", F.lit(0)))
+    return cut(able.where(F.col("common") * 100 >= F.col("n") * percent).drop("own"))
+
+
+def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", percent: int = 80, words: int = WORDS, rounds: int = STAR_ROUNDS) -> DataFrame:
+    """``id_column`` and ``component_id``, the smallest id among all rows that near copies lead to.
+
+    Null and blank texts have no shingles and are copies of each other.
+    """
     own = cut(signatures(df, text, (id_column,), words))
     nodes = cut(own.groupBy("key").agg(F.min(id_column).alias("least"), F.min("n").alias("n"), F.min("fp").alias("fp"), F.any_value("bands").alias("bands")))
     posted = nodes.select("key", "n", F.explode("bands").alias("posting"))
-    sizes = posted.groupBy("posting").agg(F.count(F.lit(1)).alias("listed")).where("listed > 1")
-    members = cut(posted.join(sizes, "posting").withColumn("component", F.col("key")))
+    sizes = posted.groupBy("posting").agg(F.count(F.lit(1)).alias("listed")).where("listed > 1").select("posting")
+    members = cut(posted.join(sizes, "posting"))
     proposed = cut(_proposed(nodes))
-    asked = members.select("key").unionByName(proposed.select(F.explode(F.array("a", "b")).alias("key"))).distinct()
+    asked = cut(members.select("key").unionByName(proposed.select(F.explode(F.array("a", "b")).alias("key"))).distinct())
     ids = nodes.join(asked, "key", "left_semi").select(F.col("least").alias(id_column)).distinct()
     sets = cut(_sets(df.join(ids, id_column, "left_semi"), text, words).join(asked, "key", "left_semi").dropDuplicates(["key"]))
 
-    short, long = members.where(F.col("listed") <= list_limit), members.where(F.col("listed") > list_limit)
-    near = cut(_similar(_pairs(short, percent).unionByName(proposed).distinct(), sets, percent))
-    labels, tested = components(near), None
-    if not long.isEmpty():
-        for at in range(STAR_ROUNDS + 1):
-            told = cut(long.drop("component").join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key")))
-            if at < STAR_ROUNDS:
-                asks = cut(_stars(told, tested))
-                tested = asks if tested is None else tested.unionByName(asks)
-            else:
-                asks = _pairs(told, percent).join(tested, ["a", "b"], "left_anti")
-            near = cut(near.unionByName(_similar(asks, sets, percent)))
-            labels = components(near)
+    def told(labels: DataFrame) -> DataFrame:
+        return members.join(labels.withColumnRenamed("node", "key"), "key", "left").withColumn("component", F.coalesce("component", "key"))
+
+    tested = cut(proposed.unionByName(_stars(members.withColumn("component", F.col("key")), None, percent)).distinct())
+    near = cut(_similar(tested, sets, percent))
+    labels = components(near)
+    for _ in range(rounds - 1):
+        asks = cut(_stars(cut(told(labels)), tested, percent))
+        if asks.isEmpty():
+            break
+        tested = tested.unionByName(asks)
+        near = cut(near.unionByName(_similar(asks, sets, percent)))
+        labels = components(near)
+    rest = _rest(cut(told(labels)), sets, percent)
+    if not rest.isEmpty():
+        near = cut(near.unionByName(_similar(_pairs(rest, percent).join(tested, ["a", "b"], "left_anti"), sets, percent)))
+        labels = components(near)
     named = nodes.join(labels.withColumnRenamed("node", "key"), "key", "left").select("key", "least", F.coalesce("component", "key").alias("component"))
     roots = named.groupBy("component").agg(F.min("least").alias("component_id"))
     return own.join(named.join(roots, "component").select("key", "component_id"), "key", "left").select(id_column, "component_id")
