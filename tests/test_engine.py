@@ -246,3 +246,18 @@ def test_measures(random_graph):
 def test_sampling(d1):
     r = baselines.sample_count(d1, named("triangle"), trials=10**6).first()
     assert r["estimate"] == pytest.approx(830) and r["share"] == 1.0
+
+
+def test_triangles_in_classes(spark):
+    """The same triangles in one job and in hash classes of vertices, whose lists are never in flight at once."""
+    from itertools import combinations
+
+    from weftgraph.sources.graphs import from_edges, triangle_count
+
+    rows = [(a, b) for a, b in combinations(range(12), 2)] + [(a, 100 + a) for a in range(12)] + [(3, 100), (200, 201)]
+    g = from_edges(spark.createDataFrame(rows, "src long, dst long"))
+    one = triangle_count(g).first()[0]
+    sizes = [len(s) for (s,) in g._tables["successors"].select("s").collect()]
+    many = triangle_count(g, in_flight=200)
+    assert sum(n * (n - 1) * 4 for n in sizes) > 400 and "LogicalRDD" in many._jdf.queryExecution().analyzed().toString()
+    assert one == many.first()[0] == 220 + 1
