@@ -261,3 +261,27 @@ def test_triangles_in_classes(spark):
     many = triangle_count(g, in_flight=200)
     assert sum(n * (n - 1) * 4 for n in sizes) > 400 and "LogicalRDD" in many._jdf.queryExecution().analyzed().toString()
     assert one == many.first()[0] == 220 + 1
+
+
+def test_counts_in_classes(spark, monkeypatch):
+    """Counts over a bound on what is in flight run as several jobs, one after another, with the same sums."""
+    from itertools import combinations
+
+    from weftgraph import api
+    from weftgraph.operators import baselines, executor
+    from weftgraph.plans.patterns import named
+    from weftgraph.sources import graphs
+
+    g = graphs.from_edges(spark.createDataFrame([(a, b) for a, b in combinations(range(9), 2)] + [(0, 20), (20, 21)], "src long, dst long"))
+    house = named("w1")
+    runs = {
+        "enumerate": lambda: api.count(g, house, method="enumerate"), "iep": lambda: api.count(g, house, method="iep"), "k4": lambda: api.cliques(g, 4),
+        "spread": lambda: executor.spread_count(g, named("diamond"), size=4), "naive": lambda: baselines.naive(g, named("rectangle")), "motif": lambda: baselines.motif_dataframe(g, named("rectangle")),
+    }
+    whole = {k: f().first()["n"] for k, f in runs.items()}
+    jobs, kept = [], graphs.first_row
+    monkeypatch.setattr(graphs, "first_row", lambda df: jobs.append(1) or kept(df))
+    for k, f in runs.items():
+        monkeypatch.setattr(graphs, "IN_FLIGHT", 2500)
+        jobs.clear()
+        assert f().first()["n"] == whole[k] and len(jobs) > 1, k
