@@ -89,3 +89,13 @@ def test_automorphisms_over_customers(spark, con, name):
     assert rows(got) == rows(true)
     places = got["perm"].iloc[0].count(",") + 1
     assert got["customers"].sum() == con.execute(f"SELECT count(*) FROM (SELECT 1 FROM orders GROUP BY o_custkey HAVING count(DISTINCT o_orderkey) >= {places}) t").fetchone()[0] > 0
+
+
+def test_sinks_and_state_are_files(spark, tmp_path):
+    """What a stream left lies in files, not on the driver, and the state asked for on disk is RocksDB's."""
+    stream = st.replay(spark, spark.createDataFrame([(i % 7, (pd.Timestamp("2024-01-01", tz="UTC") + pd.Timedelta(hours=i)).to_pydatetime(), 1, "x") for i in range(20)], "event_id long, ts timestamp, user_id long, event_type string"))
+    out = st.finish(st.deduplicated(stream, "30 days"), checkpoint=str(tmp_path), on_disk=True)
+    assert out.inputFiles() and sorted(r["event_id"] for r in out.collect()) == list(range(7))
+    assert not list(tmp_path.rglob("state/0/*/*.delta")) and (list(tmp_path.rglob("state/**/*.zip")) or list(tmp_path.rglob("state/**/*.changelog")))
+    whole = st.finish(st.tumbling(stream), "complete")
+    assert whole.inputFiles() and whole.agg(F.sum("n")).first()[0] == 20

@@ -54,7 +54,7 @@ def _(spark, sf):
 @query("st_dedup_watermark", "SELECT event_id, user_id FROM events")
 def _(spark, sf):
     e = _events(spark, sf)
-    return st.finish(st.deduplicated(st.replay(spark, e.unionByName(e.where("event_id % 3 = 0"))))).select("event_id", "user_id")
+    return st.finish(st.deduplicated(st.replay(spark, e.unionByName(e.where("event_id % 3 = 0")))), on_disk=True).select("event_id", "user_id")
 
 
 _AGAIN = 1_000_000_000
