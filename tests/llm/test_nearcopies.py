@@ -60,3 +60,28 @@ def test_one_id_over_different_texts(spark):
     texts = [" ".join(f"w{i}x{j}" for j in range(30)) for i in range(4)]
     docs = spark.createDataFrame([(1, texts[0]), (1, texts[1]), (1, texts[1]), (2, texts[2]), (None, texts[3])], "doc_id long, text string")
     assert sorted(r.text for r in pipeline.one_of_near_copies(spark, docs, SMALL).collect()) == texts
+
+
+def test_large_group_is_not_compared_pair_by_pair(spark, monkeypatch):
+    """Copies of one template around the threshold: what is compared stays near the number of copies."""
+    rng, base, rows = random.Random(9), [f"t{i}" for i in range(60)], []
+    for i in range(300):
+        copy = [*base]
+        for at in rng.sample(range(60), rng.randint(1, 4)):
+            copy[at] = f"v{i}x{at}"
+        rows.append((i + 1, " ".join(copy)))
+    asked = []
+
+    def counted(f):
+        def run(pairs, *rest):
+            asked.append(pairs.count())
+            return f(pairs, *rest)
+
+        return run
+
+    for name in ("_similar", "_alike"):
+        if hasattr(nearcopies, name):
+            monkeypatch.setattr(nearcopies, name, counted(getattr(nearcopies, name)))
+    got = nearcopies.near_copies(spark.createDataFrame(rows, "doc_id long, text string"))
+    assert {r.doc_id: r.component_id for r in got.collect()} == brute_components(rows)
+    assert sum(asked) < 12 * len(rows) < len(rows) ** 2 / 4

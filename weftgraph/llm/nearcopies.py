@@ -10,7 +10,15 @@ Texts with equal sets are one node. In a list of nodes that agree in a band each
 again after each round with one of another component: what is compared grows with the nodes. Members of one component need
 no further link. A node left in a list with another component can be similar to one of them only if at least that share of its
 shingles stands in some other node that is left, so nodes with too many shingles of their own drop out, which is what
-copies with changes of their own are; the rest is compared pair by pair. Nothing is lost by any of this.
+copies with changes of their own are.
+
+The rest is not compared list by list. Nodes that lists connect form a group, and a group has a centre: the shingles that over
+half of it hold. Let d be the shingles in which a node differs from the centre, n the node's own number, and its weight
+w = (100 + percent) * |d| - (100 - percent) * n. Two nodes are similar if and only if 2 * (100 + percent) times the number of
+differences that they share is at least the sum of their weights. Where that sum is not above zero they are similar, and both
+are to the node of least weight: one star links all of these. All others share differences, and so many that they meet under
+one of the first (rarest first) that do not leave too few behind. There again each is compared with the list's node of
+least weight before it is with others. What copies of one template have in common is in no list. Nothing is lost by any of this.
 """
 
 from __future__ import annotations
@@ -27,6 +35,8 @@ from .graphs import components
 from .simhash import links
 
 WORDS, BANDS, ROWS, STAR_ROUNDS = 5, 48, 6, 3
+#: Nodes of a group that meet one copy of its centre.
+GROUP_ROWS = 200
 #: Odd multipliers and masks of the signature's hash functions, and the multipliers of a shingle's words.
 _RANDOM = np.random.default_rng(42).integers(0, 1 << 64, (3, BANDS * ROWS), np.uint64)
 _TIMES, _MASKS, _PLACES = _RANDOM[0] | np.uint64(1), _RANDOM[1], _RANDOM[2] | np.uint64(1)
@@ -110,13 +120,6 @@ def _similar(pairs: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return both.where(shared * (100 + percent) >= total * percent).select("a", "b")
 
 
-def _pairs(members: DataFrame, percent: int) -> DataFrame:
-    """Distinct pairs in one list and in different components whose sizes, and numbers of shingles that others have, allow the similarity."""
-    a, b = (members.select("posting", F.col("key").alias(k), F.col("n").alias(f"n{k}"), F.col("component").alias(f"c{k}"), F.col("common").alias(f"s{k}")) for k in "ab")
-    able = F.least("sa", "sb") * (100 + percent) >= (F.col("na") + F.col("nb")) * percent  # no more than these can be shared
-    return a.join(b, "posting").where((F.col("a") < F.col("b")) & (F.col("ca") != F.col("cb")) & _near_size("na", "nb", percent) & able).select("a", "b").distinct()
-
-
 def _proposed(nodes: DataFrame) -> DataFrame:
     """Pairs (a, b) of keys whose fingerprints are equal or linked; one key stands for all of a fingerprint in the links."""
     named = cut(nodes.where("n > 0").groupBy("fp").agg(F.min("key").alias("lead"), F.count(F.lit(1)).alias("keys")))
@@ -156,6 +159,79 @@ def _rest(members: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
     return cut(able.where(F.col("common") * 100 >= F.col("n") * percent).drop("own"))
 
 
+def _differences(rest: DataFrame, sets: DataFrame, percent: int) -> DataFrame:
+    """key, component, grp, w, d: the nodes in lists with others, their group, weight, and differences from the group's centre."""
+    first = rest.groupBy("posting").agg(F.min("key").alias("first"))
+    grouped = components(rest.join(first, "posting"), "first", "key").toDF("key", "grp").join(rest.select("key", "component").distinct(), "key")
+    own = cut(sets.join(grouped, "key"))
+    sizes = own.groupBy("grp").agg(F.count(F.lit(1)).alias("size"), F.ceil(F.count(F.lit(1)) / GROUP_ROWS).alias("salts"))
+    held = own.select("grp", F.explode("shingles").alias("shingle")).groupBy("grp", "shingle").agg(F.count(F.lit(1)).alias("held"))
+    centres = held.join(F.broadcast(sizes), "grp").where(F.col("held") * 2 > F.col("size")).groupBy("grp", "salts").agg(F.collect_list("shingle").alias("centre"))
+    centres = centres.select("grp", F.explode(F.sequence(F.lit(0).cast("long"), F.col("salts") - 1)).alias("salt"), "centre")
+    salted = own.join(F.broadcast(sizes), "grp").withColumn("salt", F.pmod(F.xxhash64("key"), "salts"))
+    centre = F.coalesce("centre", F.array().cast("array<long>"))
+    both = salted.join(centres, ["grp", "salt"], "left").withColumn("d", F.concat(F.array_except("shingles", centre), F.array_except(centre, "shingles")))
+    return cut(both.select("key", "component", "grp", (F.size("d").cast("long") * (100 + percent) - F.size("shingles").cast("long") * (100 - percent)).alias("w"), "d"))
+
+
+def _merged(nodes: DataFrame, found: DataFrame) -> DataFrame:
+    """The nodes with the components that the links ``found`` make of theirs."""
+    ends = [nodes.select(F.col("key").alias(k), F.col("component").alias(f"c{k}")) for k in "ab"]
+    joined = components(found.join(ends[0], "a").join(ends[1], "b"), "ca", "cb").toDF("component", "whole")
+    return cut(nodes.join(joined, "component", "left").withColumn("component", F.coalesce("whole", "component")).select(*nodes.columns))
+
+
+def _open(nodes: DataFrame, percent: int) -> DataFrame:
+    """The nodes that may be similar to one of another component: ``d`` is what they share with other components, rarest first,
+    ``c`` how much that is, and ``ask`` how many of its first each is to be listed under."""
+    least = nodes.groupBy("grp", "component").agg(F.min("w").alias("w"))
+    lead = least.groupBy("grp").agg(F.min(F.struct("w", "component")).alias("lead"))
+    other = least.join(F.broadcast(lead), "grp").groupBy("grp", "lead").agg(F.min(F.when(F.col("component") != F.col("lead.component"), F.col("w"))).alias("second")).where("second is not null")
+    each = nodes.select("grp", "key", "component", "w", F.explode("d").alias("x"))
+    shared = each.groupBy("grp", "x").agg(F.count(F.lit(1)).alias("held"), F.min("component").alias("lo"), F.max("component").alias("hi")).where("lo < hi").select("grp", "x", "held")
+    listed = each.join(shared, ["grp", "x"]).groupBy("grp", "key", "component", "w").agg(F.sort_array(F.collect_list(F.struct("held", "x"))).alias("d"))
+    best = F.when(F.col("component") == F.col("lead.component"), F.col("second")).otherwise(F.col("lead.w"))
+    asked = listed.join(F.broadcast(other), "grp").withColumn("c", F.size("d")).withColumn("least", F.greatest(F.lit(1), F.ceil((F.col("w") + best) / F.lit(2 * (100 + percent)))))
+    return cut(asked.where("least <= c").select("key", "component", "grp", "w", F.col("d.x").alias("d"), "c", (F.col("c") - F.col("least") + 1).cast("int").alias("ask")))
+
+
+def _alike(pairs: DataFrame, nodes: DataFrame, percent: int) -> DataFrame:
+    """The pairs that share as many differences as their weights ask."""
+    both = pairs.join(nodes.select(F.col("key").alias("a"), F.col("w").alias("wa"), F.col("d").alias("da")), "a").join(nodes.select(F.col("key").alias("b"), F.col("w").alias("wb"), F.col("d").alias("db")), "b")
+    return cut(both.where(F.size(F.array_intersect("da", "db")) * 2 * (100 + percent) >= F.col("wa") + F.col("wb")).select("a", "b"))
+
+
+def _links_of_rest(rest: DataFrame, sets: DataFrame, percent: int, rounds: int = STAR_ROUNDS) -> DataFrame:
+    """Links (a, b) that connect what similar nodes of different components in ``rest`` connect."""
+    nodes = _differences(rest, sets, percent)
+    lead = nodes.groupBy("grp").agg(F.min(F.struct("w", "key", "component")).alias("lead"))
+    sure = nodes.join(F.broadcast(lead), "grp").where((F.col("key") != F.col("lead.key")) & (F.col("component") != F.col("lead.component")) & (F.col("w") + F.col("lead.w") <= 0))
+    found = cut(sure.select(F.col("lead.key").alias("a"), F.col("key").alias("b")))
+    nodes = _open(_merged(nodes, found), percent)
+
+    def under() -> DataFrame:
+        return nodes.select("grp", "key", "component", "w", "c", F.posexplode(F.slice("d", F.lit(1), F.col("ask"))).alias("at", "x"))
+
+    def able(a: str, b: str) -> Column:
+        left = F.least(F.col(f"{a}c") - F.col(f"{a}at"), F.col(f"{b}c") - F.col(f"{b}at"))  # if this is the first difference they share
+        return (F.col(f"{a}component") != F.col(f"{b}component")) & (left * 2 * (100 + percent) >= F.col(f"{a}w") + F.col(f"{b}w"))
+
+    for _ in range(rounds):
+        if nodes.isEmpty():
+            return found
+        posts = under()
+        led = posts.groupBy("grp", "x").agg(F.min(F.struct("w", "component", "key", "c", "at")).alias("lead"))
+        asks = posts.join(led, ["grp", "x"]).where(able("lead.", "")).select(F.col("lead.key").alias("a"), F.col("key").alias("b")).distinct()
+        more = _alike(asks, nodes, percent)
+        if more.isEmpty():
+            break
+        found = found.unionByName(more)
+        nodes = _open(_merged(nodes.select("key", "component", "grp", "w", "d"), more), percent)
+    a, b = (under().select("grp", "x", *(F.col(c).alias(k + c) for c in ("key", "component", "w", "c", "at"))) for k in "ab")
+    pairs = a.join(b, ["grp", "x"]).where((F.col("akey") < F.col("bkey")) & able("a", "b")).select(F.col("akey").alias("a"), F.col("bkey").alias("b")).distinct()
+    return found.unionByName(_alike(pairs, nodes, percent))
+
+
 def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", percent: int = 80, words: int = WORDS, rounds: int = STAR_ROUNDS) -> DataFrame:
     """``id_column`` and ``component_id``, the smallest id among all rows that near copies lead to.
 
@@ -186,7 +262,7 @@ def near_copies(df: DataFrame, id_column: str = "doc_id", text: str = "text", pe
         labels = components(near)
     rest = _rest(cut(told(labels)), sets, percent)
     if not rest.isEmpty():
-        near = cut(near.unionByName(_similar(_pairs(rest, percent).join(tested, ["a", "b"], "left_anti"), sets, percent)))
+        near = cut(near.unionByName(_links_of_rest(rest, sets, percent)))
         labels = components(near)
     named = nodes.join(labels.withColumnRenamed("node", "key"), "key", "left").select("key", "least", F.coalesce("component", "key").alias("component"))
     roots = named.groupBy("component").agg(F.min("least").alias("component_id"))
