@@ -99,3 +99,19 @@ def test_sinks_and_state_are_files(spark, tmp_path):
     assert not list(tmp_path.rglob("state/0/*/*.delta")) and (list(tmp_path.rglob("state/**/*.zip")) or list(tmp_path.rglob("state/**/*.changelog")))
     whole = st.finish(st.tumbling(stream), "complete")
     assert whole.inputFiles() and whole.agg(F.sum("n")).first()[0] == 20
+
+
+def test_documents_of_the_same_lines_are_one_vertex(spark, tmp_path, monkeypatch):
+    """Triangles of d9_all over copies: pairs are made of different sets of lines only."""
+    from itertools import combinations
+
+    from weftgraph.sources import graphs
+
+    lines = [f"a line that is long enough {i}" for i in range(5)]
+    held = [{0}] * 40 + [{0, 1}] * 9 + [{1, 2}] * 5 + [{2}, {3}, {3}, {2, 0}, set()]
+    spark.createDataFrame([(i, "\n".join(lines[k] for k in sorted(own))) for i, own in enumerate(held)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    made, pairs = [], graphs._pairs
+    monkeypatch.setattr(graphs, "_pairs", lambda *a: made.append(pairs(*a)) or made[-1])
+    true = sum(bool(held[a] & held[b] and held[a] & held[c] and held[b] & held[c]) for a, b, c in combinations(range(len(held)), 3))
+    assert QUERIES["triangle_count_d9_all"](spark, str(tmp_path)).first()["n_triangles"] == true > 10_000
+    assert sum(p.count() for p in made) < 20
