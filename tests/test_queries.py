@@ -1,5 +1,7 @@
 """Registered queries against their SQL at the smallest scale, and the streams' own cases."""
 
+import re
+
 import duckdb
 import pandas as pd
 import pytest
@@ -115,3 +117,21 @@ def test_documents_of_the_same_lines_are_one_vertex(spark, tmp_path, monkeypatch
     true = sum(bool(held[a] & held[b] and held[a] & held[c] and held[b] & held[c]) for a, b, c in combinations(range(len(held)), 3))
     assert QUERIES["triangle_count_d9_all"](spark, str(tmp_path)).first()["n_triangles"] == true > 10_000
     assert sum(p.count() for p in made) < 20
+
+
+def test_pairs_of_an_hour_are_not_shuffled(spark, tmp_path):
+    """edges_d7 makes each pair once where its users meet first: no exchange by both ends, nothing kept."""
+    from itertools import combinations
+
+    base = pd.Timestamp("2024-01-01")
+    rows = [(k, (base + pd.Timedelta(minutes=37 * (k * k % 23))).to_pydatetime(), k % 11 if k % 13 else None, "xy"[k % 2] if k % 17 else None) for k in range(90)]
+    spark.createDataFrame(rows, "event_id long, ts timestamp_ntz, user_id long, event_type string").write.parquet(str(tmp_path / "events.parquet"))
+    meet: dict = {}
+    for _, ts, user, kind in rows:
+        if user is not None and kind is not None:
+            meet.setdefault((kind, ts.replace(minute=0)), set()).add(user)
+    got = QUERIES["edges_d7"](spark, str(tmp_path))
+    assert sorted(map(tuple, got.collect())) == sorted({pair for users in meet.values() for pair in combinations(sorted(users), 2)})
+    plan = got._jdf.queryExecution().toString()
+    assert not re.search(r"hashpartitioning\(src#\d+L?, dst#", plan)
+    assert not got.is_cached and "InMemoryTableScan [src" not in plan
