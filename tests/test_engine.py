@@ -285,3 +285,22 @@ def test_counts_in_classes(spark, monkeypatch):
         monkeypatch.setattr(graphs, "IN_FLIGHT", 2500)
         jobs.clear()
         assert f().first()["n"] == whole[k] and len(jobs) > 1, k
+
+
+def test_edge_joins_by_classes_leave_no_files(spark, monkeypatch):
+    """Where tuples would be too many at once they are made by classes; written relations go when they are read."""
+    from pathlib import Path
+
+    from weftgraph.queries import relational
+
+    assert graphs.TUPLES_IN_FLIGHT > graphs.IN_FLIGHT
+    g, p, ran, own = graphs.graph(spark, SMALL, "d1"), named("w1"), [], graphs.first_row
+    monkeypatch.setattr(graphs, "first_row", lambda df: ran.append(1) or own(df))
+    monkeypatch.setattr(graphs, "TUPLES_IN_FLIGHT", int(baselines.tuple_bytes(g, p, range(p.n)) / 3))
+    true = api.count(g, p).first()["n"]
+    ran.clear()
+    assert relational.QUERIES["op_house_sql_text"](spark, SMALL).first()["n"] == true > 0 and len(ran) >= 3
+    spark.range(1).checkpoint()
+    folder = Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
+    before = {x for x in folder.iterdir()}
+    assert baselines.relational_tuples(g, p).first()["n"] == true and {x for x in folder.iterdir()} <= before and len(ran) >= 6
