@@ -111,7 +111,7 @@ def test_documents_of_the_same_lines_are_one_vertex(spark, tmp_path, monkeypatch
 
     lines = [f"a line that is long enough {i}" for i in range(5)]
     held = [{0}] * 40 + [{0, 1}] * 9 + [{1, 2}] * 5 + [{2}, {3}, {3}, {2, 0}, set()]
-    spark.createDataFrame([(i, "\n".join(lines[k] for k in sorted(own))) for i, own in enumerate(held)], "doc_id long, text string").write.parquet(str(tmp_path / "documents.parquet"))
+    spark.createDataFrame([(i, "\n".join(lines[k] for k in sorted(own)), "en") for i, own in enumerate(held)], "doc_id long, text string, lang string").write.parquet(str(tmp_path / "documents.parquet"))
     made, pairs = [], graphs._pairs
     monkeypatch.setattr(graphs, "_pairs", lambda *a: made.append(pairs(*a)) or made[-1])
     true = sum(bool(held[a] & held[b] and held[a] & held[c] and held[b] & held[c]) for a, b, c in combinations(range(len(held)), 3))
