@@ -5,7 +5,7 @@ import random
 import pytest
 
 import corpus_pipeline as pipeline
-from weftgraph.llm import nearcopies
+from weftgraph.llm import graphs, nearcopies
 
 SMALL = "/root/testdata/sf0.01"
 
@@ -85,3 +85,33 @@ def test_large_group_is_not_compared_pair_by_pair(spark, monkeypatch):
     got = nearcopies.near_copies(spark.createDataFrame(rows, "doc_id long, text string"))
     assert {r.doc_id: r.component_id for r in got.collect()} == brute_components(rows)
     assert sum(asked) < 12 * len(rows) < len(rows) ** 2 / 4
+
+
+def test_small_tables_take_few_tasks(spark):
+    """With many partitions, what is done for a small group of near copies is not spread over all of them in every step."""
+    rng, base = random.Random(3), [f"t{i}" for i in range(60)]
+    rows = [(i + 1, " ".join(w if rng.random() < 0.96 else f"v{i}x{at}" for at, w in enumerate(base))) for i in range(60)]
+    sc, old = spark.sparkContext, {k: spark.conf.get(k) for k in ("spark.sql.shuffle.partitions", "spark.sql.adaptive.coalescePartitions.enabled")}
+    try:
+        for k, v in zip(old, ("24", "false"), strict=True):
+            spark.conf.set(k, v)
+        sc.setJobGroup("few-tasks", "")
+        got = {r.doc_id: r.component_id for r in nearcopies.near_copies(spark.createDataFrame(rows, "doc_id long, text string")).collect()}
+        jobs = [sc.statusTracker().getJobInfo(j) for j in sc.statusTracker().getJobIdsForGroup("few-tasks")]
+        stages = [sc.statusTracker().getStageInfo(s) for j in jobs for s in j.stageIds]
+    finally:
+        sc.setLocalProperty("spark.jobGroup.id", None)
+        for k, v in old.items():
+            spark.conf.set(k, v)
+    assert got == brute_components(rows)
+    assert 0 < sum(s.numCompletedTasks for s in stages if s) < 2400
+
+
+def test_components_on_the_driver_and_apart(spark):
+    rng = random.Random(8)
+    links = [(rng.randrange(-400, 400), rng.randrange(-400, 400)) for _ in range(350)] + [(i, i + 1) for i in range(10**6, 10**6 + 40)] + [(None, 3), (4, 4)]
+    df = spark.createDataFrame(links, "a long, b long")
+    apart, here = ({r.node: r.component for r in graphs.components(df, gathered=n).collect()} for n in (0, 1000))
+    assert here == apart and len(set(here.values())) < len(here)
+    assert {r.node: r.component for r in graphs.components(df, gathered=10).collect()} == here  # too many: not on the driver
+    assert graphs.components(df.where("a = b"), gathered=1000).count() == 0
