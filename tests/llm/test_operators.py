@@ -453,6 +453,27 @@ def test_a_passage_sent_before_goes_whole():
     assert got == {1: [(9, 30)], 2: [(9, 30)], 3: [(4, 34)], 4: [(2, 32)]}
 
 
+def test_spans_are_joined_where_they_touch():
+    assert substrings.joined([]) == [] and substrings.joined([(5, 25), (0, 20), (1, 9), (26, 30), (25, 26), (40, 60)]) == [(0, 30), (40, 60)]
+
+
+@pytest.mark.parametrize("apart", [True, False])
+def test_a_common_passage_makes_a_row_a_document(spark, apart):
+    """Neither what a task sends nor what a shard returns has a row for each window that many documents share."""
+    rnd = random.Random(15)
+    phrase = [f"p{i}" for i in range(90)]
+    rows = [(d, " ".join([f"u{rnd.randrange(10**9)}" for _ in range(d % 7)] + phrase[d % 3 :] + [f"u{rnd.randrange(10**9)}" for _ in range(30)])) for d in range(60)]
+    docs = substrings._early(frame(spark, rows).coalesce(1), "doc_id", "text")
+    found = substrings.outline(docs, 20).select("_id", "_row", F.col("anchors").alias("repeated"), F.when(F.lit(apart), F.col("anchors")).otherwise(F.array().cast("array<long>")).alias("hot"))
+    pdf = substrings._passages(docs.join(F.broadcast(found), ["_id", "_row"]), 20, 1).toPandas()
+    whole = pdf[pdf["body"].isna()]
+    assert not whole["_id"].duplicated().any() and len(whole) >= 50
+    got = substrings.shard_repeats(pdf, 20)
+    assert sorted(got["_id"]) == list(range(1, 60))
+    gone = {r["_id"]: int(substrings.removed_mask(500, r["starts"], r["stops"]).sum()) for r in got.to_dict("records")}
+    assert gone == {d: n for d, _, n, _ in brute_windows(rows, 20) if n}
+
+
 def test_windows_awkward(spark):
     assert sorted(map(tuple, substrings.window_removal(frame(spark, AWKWARD)).collect()), key=str) == brute_windows(AWKWARD, 20)
     assert substrings.window_removal(frame(spark, [])).count() == 0 and substrings.without_repeats(frame(spark, [])).count() == 0

@@ -13,8 +13,9 @@ statistics cost one step a word. An interval's smallest text position tells whet
 Texts whose word sequence is another's are settled without any index: all their windows stand in the first one.
 No task gathers the places of a frequent anchor: those with more than 1/HEAVY of all repeated places, HEAVY at most, are
 broadcast. Anchors of more than ``hot`` places deal their windows one by one, by the hash of the whole window, so no shard
-gathers all contexts of a frequent phrase. A task sends a passage that it has sent before from an earlier place without its
-words and to any shard, since all of it goes; so a shard gets the words of a passage once a task at most.
+gathers all contexts of a frequent phrase. A passage that a task has sent before from an earlier place goes whole; the task
+sends such passages without their words, those of a document that touch as one, so a shard gets the words of a passage
+once a task at most. A shard returns one row for each document.
 
 Null and blank texts have no words. Earlier means a smaller id, or the same id and an earlier start: rows that share an id
 remove nothing of each other at the same start, whatever their texts. Null ids come before all others, in an order
@@ -223,8 +224,19 @@ def outline(docs: DataFrame, width: int) -> DataFrame:
     return arrow_map(docs.select("_id", "_row", "_known", "text"), run, "_id long, _row long, _known boolean, n_words int, sha string, anchors array<long>")
 
 
+def joined(spans: list[tuple[int, int]]) -> list[tuple[int, int]]:
+    """The same words in as few spans as can be, in order."""
+    out: list[tuple[int, int]] = []
+    for start, stop in sorted(spans):
+        if out and start <= out[-1][1]:
+            out[-1] = (out[-1][0], max(out[-1][1], stop))
+        else:
+            out.append((start, stop))
+    return out
+
+
 def _passages(docs: DataFrame, width: int, shards: int) -> DataFrame:
-    """Passages of the documents' repeated anchors; ``body`` is null where the task has sent an equal passage from an earlier place."""
+    """Passages of the documents' repeated anchors; ``body`` is null where the task has sent all of it from earlier places."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         hashes = WordHashes()
@@ -247,17 +259,20 @@ def _passages(docs: DataFrame, width: int, shards: int) -> DataFrame:
                 apart = among(least, hot[i])
                 starts = np.flatnonzero(ok & np.concatenate(([True], (least[1:] != least[:-1]) | ~ok[:-1] | apart[1:])))
                 stops = np.flatnonzero(ok & np.concatenate(((least[1:] != least[:-1]) | ~ok[1:] | apart[:-1], [True]))) + 1
+                whole: list[tuple[int, int]] = []
                 for s, e in zip(starts.tolist(), stops.tolist(), strict=True):
                     for at in range(s, e, PASSAGE_WINDOWS):
                         end = min(e, at + PASSAGE_WINDOWS)
                         body = b" ".join(words[at : end + width - 1])
-                        route = xxhash.xxh64_intdigest(own[at : at + width].tobytes()) if apart[s] else int(least[s])
                         digest, place = xxhash.xxh3_128_digest(body), (ids[i], at)
                         if digest in sent and sent[digest] < place:
-                            body, route = None, xxhash.xxh64_intdigest(digest + b"%d %d" % place)
-                        else:
-                            sent[digest] = place
+                            whole.append((at, end + width - 1))
+                            continue
+                        sent[digest] = place
+                        route = xxhash.xxh64_intdigest(own[at : at + width].tobytes()) if apart[s] else int(least[s])
                         rows.append((route % shards, ids[i], versions[i], at, end - at, body))
+                route = xxhash.xxh64_intdigest(b"%d %d" % (ids[i], versions[i]))
+                rows += [(route % shards, ids[i], versions[i], a, b - a - width + 1, None) for a, b in joined(whole)]
             if rows:
                 kinds = [pa.int64(), pa.int64(), pa.int64(), pa.int32(), pa.int32(), pa.binary()]
                 yield pa.RecordBatch.from_arrays([pa.array(c, k) for c, k in zip(zip(*rows, strict=True), kinds, strict=True)], ["shard", "_id", "_row", "start", "windows", "body"])
@@ -266,7 +281,7 @@ def _passages(docs: DataFrame, width: int, shards: int) -> DataFrame:
 
 
 def shard_repeats(pdf: pd.DataFrame, width: int) -> pd.DataFrame:
-    """Word spans of one shard's passages that stand earlier in the shard: _id, _row, starts, stops.
+    """Word spans of one shard's passages that stand earlier in the shard, a row a document: _id, _row, starts, stops.
 
     Passages without a body go whole.
     """
@@ -306,11 +321,15 @@ def shard_repeats(pdf: pd.DataFrame, width: int) -> pd.DataFrame:
         for i in np.flatnonzero((known >= 0) & (known != np.arange(len(known)))).tolist():
             if i not in hits and int(known[i]) in hits:  # an equal passage of the same age
                 hits[i] = hits[int(known[i])]
-    rows = sorted(hits)
+    versions = pdf["_row"].tolist()
+    spans: dict[tuple[int, int], list[tuple[int, int]]] = defaultdict(list)
+    for i in sorted(hits):
+        spans[places[i][0], versions[i]] += hits[i]
+    found = [joined(s) for s in spans.values()]
     return pd.DataFrame({
-        "_id": ids[rows], "_row": pdf["_row"].to_numpy()[rows],
-        "starts": pd.Series([[a for a, _ in hits[i]] for i in rows], dtype=object),
-        "stops": pd.Series([[b for _, b in hits[i]] for i in rows], dtype=object),
+        "_id": np.array([d for d, _ in spans], np.int64), "_row": np.array([r for _, r in spans], np.int64),
+        "starts": pd.Series([[a for a, _ in s] for s in found], dtype=object),
+        "stops": pd.Series([[b for _, b in s] for s in found], dtype=object),
     })
 
 
