@@ -304,3 +304,19 @@ def test_edge_joins_by_classes_leave_no_files(spark, monkeypatch):
     folder = Path(spark.sparkContext.getCheckpointDir().removeprefix("file:"))
     before = {x for x in folder.iterdir()}
     assert baselines.relational_tuples(g, p).first()["n"] == true and {x for x in folder.iterdir()} <= before and len(ran) >= 6
+
+
+def test_small_lists_go_to_every_task(d1, monkeypatch):
+    """Where rows would be many but the lists are few, a count is one job that shuffles no row to them."""
+    p = named("w5")
+    plan = compiler.loop_plan(planner.choose(p, d1.stats()))
+    true = api.count(d1, p, method="enumerate", executor="lists", hint="shuffle_hash").first()["n"]
+    bound = 4 * (8 * d1.moments()[0] + 64 * d1.stats().n_vertices)
+    assert compiler.in_flight(d1, plan) > 4 * bound
+    jobs, kept = [], graphs.first_row
+    monkeypatch.setattr(graphs, "first_row", lambda df: jobs.append(1) or kept(df))
+    monkeypatch.setattr(graphs, "IN_FLIGHT", bound)
+    found = api.count(d1, p, method="enumerate")
+    assert found.first()["n"] == true > 0 and not jobs
+    plan_text = found._jdf.queryExecution().executedPlan().toString()
+    assert "BroadcastHashJoin" in plan_text and "SortMergeJoin" not in plan_text and "ShuffledHashJoin" not in plan_text
