@@ -320,3 +320,16 @@ def test_small_lists_go_to_every_task(d1, monkeypatch):
     assert found.first()["n"] == true > 0 and not jobs
     plan_text = found._jdf.queryExecution().executedPlan().toString()
     assert "BroadcastHashJoin" in plan_text and "SortMergeJoin" not in plan_text and "ShuffledHashJoin" not in plan_text
+
+
+def test_rows_that_can_not_match_end_early(d1):
+    """Vertices that lie in an intersection together need as many members, bound ones included; the counts stay."""
+    p = named("prism")
+    c = planner.choose_iep(p, d1.stats())
+    arrays, sizes = iep.kept(c, c.iep_k)
+    plan = compiler.loop_plan(c, p.n - c.iep_k, c.outer, False, arrays, sizes)
+    b, d = p.names.index("B"), p.names.index("D")
+    assert compiler.members(p, ((b, "n", None), (d, "n", None))) == 2  # A and E
+    rows = [compiler.emit(d1, c, plan, prune=x).count() for x in (False, True)]
+    assert 0 < rows[1] < rows[0], rows
+    assert api.iep_count(d1, c).first()["n"] == 1_167
