@@ -8,7 +8,7 @@ from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from weftgraph import api, metrics
-from weftgraph.operators import baselines, executor, graph_ops, iep
+from weftgraph.operators import baselines, dense, executor, graph_ops, iep
 from weftgraph.plans import compiler, planner, schedules, symmetry
 from weftgraph.plans.patterns import Pattern, clique, connected_shapes, named
 from weftgraph.plans.planner import Configuration
@@ -333,3 +333,15 @@ def test_rows_that_can_not_match_end_early(d1):
     rows = [compiler.emit(d1, c, plan, prune=x).count() for x in (False, True)]
     assert 0 < rows[1] < rows[0], rows
     assert api.iep_count(d1, c).first()["n"] == 1_167
+
+
+def test_cliques_by_blocks(spark, random_graph, monkeypatch):
+    """Dense graphs: products of blocks, by whatever ranges; no list is gathered."""
+    g, edges = random_graph
+    for k in (3, 4):
+        assert dense.block_cliques(g, k, block=4).first()["n"] == baselines.local_loops(edges, clique(k))
+    monkeypatch.setattr(dense, "LEAST_SQUARES", 1)
+    whole = graphs.from_edges(spark.range(12).selectExpr("explode(sequence(0L, 11L)) as src", "id * 1000 as dst").selectExpr("src * 1000 as src", "dst"))
+    found = api.cliques(whole, 4, name="k4")
+    assert tuple(found.first()) == ("k4", 495) and "array_intersect" not in found._jdf.queryExecution().executedPlan().toString()
+    assert api.cliques(whole, 5).first()["n"] == 792
