@@ -345,3 +345,16 @@ def test_cliques_by_blocks(spark, random_graph, monkeypatch):
     found = api.cliques(whole, 4, name="k4")
     assert tuple(found.first()) == ("k4", 495) and "array_intersect" not in found._jdf.queryExecution().executedPlan().toString()
     assert api.cliques(whole, 5).first()["n"] == 792
+
+
+def test_triangles_by_blocks(spark, monkeypatch):
+    """The statistics of a dense graph without a list; a sparse one with a hub keeps its lists."""
+    monkeypatch.setattr(dense, "LEAST_SQUARES", 1)
+    rng = random.Random(6)
+    edges = [(a, b) for a in range(40) for b in range(a + 1, 40) if rng.random() < 0.7]
+    g = graphs.from_edges(spark.createDataFrame(edges, "src long, dst long"))
+    assert tuple(g.stats_frame().first()) == (40, len(edges), baselines.local_loops(edges, clique(3))) and "successors" not in g._tables
+    star = graphs.from_edges(spark.createDataFrame([(i, i + 1) for i in range(0, 900, 2)] + [(-1, i) for i in range(30)], "src long, dst long"))
+    assert star.stats().n_triangles == 15 and "successors" in star._tables
+    empty = graphs.from_edges(spark.createDataFrame([], "src long, dst long"))
+    assert dense.block_cliques(empty, 3).first()["n"] == 0
