@@ -358,3 +358,17 @@ def test_triangles_by_blocks(spark, monkeypatch):
     assert star.stats().n_triangles == 15 and "successors" in star._tables
     empty = graphs.from_edges(spark.createDataFrame([], "src long, dst long"))
     assert dense.block_cliques(empty, 3).first()["n"] == 0
+
+
+@pytest.mark.parametrize("run,name", [(baselines.naive, "rectangle"), (baselines.motif_dataframe, "w1")])
+def test_edge_joins_shuffle_no_tuples(d1, monkeypatch, run, name):
+    """Where tuples would be many but the edges are few, edge joins are one job with the edges in every task."""
+    p = named(name)
+    bound = 4 * baselines.EDGE_BYTES * d1.moments()[0]
+    jobs, kept = [], graphs.first_row
+    monkeypatch.setattr(graphs, "first_row", lambda df: jobs.append(1) or kept(df))
+    monkeypatch.setattr(graphs, "IN_FLIGHT", bound)
+    found = run(d1, p)
+    assert found.first()["n"] == {"rectangle": 4_327, "w1": 36_212}[name] and not jobs
+    text = found._jdf.queryExecution().executedPlan().toString()
+    assert text.count("BroadcastHashJoin") >= len(p.edges) and "SortMergeJoin" not in text and "ShuffledHashJoin" not in text
